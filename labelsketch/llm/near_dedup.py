@@ -3,8 +3,8 @@
 Every set of word shingles is hashed once into ``BANDS * ROWS`` bins; empty bins borrow from the first filled bin of a
 random order of their own, the same in all documents. Equal sets are one class from the start. Bands of bins are buckets;
 a bucket proposes a star of pairs around one member, so proposals are linear in its size. Pairs are confirmed on the full
-sets and joined into components. Members that a star has left in different components get further stars in their bucket
-and, after ``STARS`` rounds, all pairs across components that are still untested: no proposal is dropped.
+sets and joined into components. Members that a star has left in different components get further stars in their bucket;
+what ``STARS`` rounds leave is compared in bounded blocks, which emit links only: no proposal is dropped.
 
 Nulls and texts without words have empty sets and are linked with nothing; a text shorter than a shingle is one shingle.
 Very long texts are used whole. Rows that share a doc_id are judged each by its own text; rows without one stay alone or
@@ -24,7 +24,9 @@ from . import common
 SHINGLE, PERCENT = 5, 80
 #: At a similarity of 0.8 a pair is missed with probability (1 - 0.8^6)^50 = 2.5e-7.
 ROWS, BANDS = 6, 50
-STARS = 4
+STARS = 3
+#: Members and shingles of a block, on average at most, and columns of a block's product taken at a time.
+BLOCK_ROWS, BLOCK_SHINGLES, COLUMNS = 256, 400_000, 8192
 #: Ids that are broadcast at most; beyond it they are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
 NONE = np.uint64(0xFFFFFFFFFFFFFFFF)
@@ -147,6 +149,63 @@ def components(edges: DataFrame) -> DataFrame:
         seen = state
 
 
+def compared(left: pa.Table, right: pa.Table, percent: int) -> pa.Table:
+    """Links between two blocks of sets; the sizes of the intersections are a product of their 0/1 matrices, by columns."""
+    sides = [(t.column("id").to_pylist(), t.column("component").to_numpy(), t.column("set").combine_chunks()) for t in (left, right)]
+    values = [x.flatten().to_numpy() for _, _, x in sides]
+    sizes = [np.diff(x.offsets.to_numpy()) for _, _, x in sides]
+    shared = np.intersect1d(np.unique(values[0]), np.unique(values[1]))
+    cells = []
+    for v, n in zip(values, sizes, strict=True):
+        column = np.searchsorted(shared, v)
+        hit = (column < len(shared)) & (shared[np.minimum(column, len(shared) - 1)] == v) if len(shared) else np.zeros(len(v), bool)
+        row, column = np.repeat(np.arange(len(n)), n)[hit], column[hit]
+        order = np.argsort(column, kind="stable")
+        cells.append((row[order], column[order]))
+    both = np.zeros((len(sizes[0]), len(sizes[1])), np.float32)
+    for at in range(0, len(shared), COLUMNS):
+        parts = []
+        for (row, column), n in zip(cells, sizes, strict=True):
+            a, b = np.searchsorted(column, [at, at + COLUMNS])
+            dense = np.zeros((len(n), COLUMNS), np.float32)
+            dense[row[a:b], column[a:b] - at] = 1
+            parts.append(dense)
+        both += parts[0] @ parts[1].T
+    union = sizes[0][:, None] + sizes[1][None, :] - both
+    linked = (100 * both >= percent * union) & (sides[0][1][:, None] != sides[1][1][None, :])
+    found = [sorted((sides[0][0][i], sides[1][0][j])) for i, j in zip(*np.nonzero(linked), strict=True)]
+    return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
+
+
+def blockwise(docs: DataFrame, rest: DataFrame, size: int, percent: int) -> DataFrame:
+    """Links (a, b) between different components among members (bucket, id, component, n_shingles) that share buckets.
+
+    Members that buckets connect form clusters. Of a cluster only the members outside its largest component are held
+    against all; both sides are dealt into blocks of bounded size, and each pair of blocks is one group.
+    """
+    star = rest.join(rest.groupBy("bucket").agg(F.min("id").alias("a")), "bucket").select("a", F.col("id").alias("b"))
+    cluster = components(star).withColumnRenamed("component", "cluster")
+    member = rest.select("id", "component", "n_shingles").distinct().join(cluster, "id", "left").withColumn("cluster", F.coalesce("cluster", "id"))
+    member = common.written(member, "clusters")
+    largest = member.groupBy("cluster", "component").agg(F.count("*").alias("n")).groupBy("cluster").agg(F.max_by("component", F.struct("n", "component")).alias("largest"))
+    member = common.written(member.join(largest, "cluster").withColumn("outside", F.col("component") != F.col("largest")), "members")
+
+    def blocks(rows: DataFrame, name: str) -> DataFrame:
+        return rows.groupBy("cluster").agg(F.greatest(F.ceil(F.count("*") / BLOCK_ROWS), F.ceil(F.sum("n_shingles") / BLOCK_SHINGLES), F.lit(1)).cast("int").alias(name))
+
+    n = blocks(member.filter("outside"), "n_left").join(blocks(member, "n_right"), "cluster")
+    ids = member.join(n, "cluster", "left_semi").select(F.col("id").alias("doc_id")).distinct()
+    sets = common.written(shingle_sets(with_ids(docs.select("doc_id", "text"), common.written(ids, "ids"), "left_semi"), size), "sets")
+    rows = member.join(n, "cluster").join(sets.withColumnRenamed("doc_id", "id"), "id").select("cluster", "id", F.col("component").cast("long"), "set", "outside", "n_left", "n_right")
+    own = lambda name: F.pmod(F.xxhash64("id", F.lit(name)), F.col(name)).cast("int")
+    every = lambda name: F.explode(F.sequence(F.lit(0), F.col(name) - 1))
+    left = rows.filter("outside").select("cluster", "id", "component", "set", own("n_left").alias("i"), every("n_right").alias("j"))
+    fresh = [F.col(c).alias(c) for c in ("cluster", "id", "component", "set")]  # else the two sides share column ids
+    right = rows.select(*fresh, every("n_left").alias("i"), own("n_right").alias("j"))
+    key = ["cluster", "i", "j"]
+    return left.groupBy(*key).cogroup(right.groupBy(*key)).applyInArrow(lambda a, b: compared(a, b, percent), "a long, b long").distinct()
+
+
 def duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS, stars: int = STARS) -> DataFrame:
     """doc_id, n_shingles, component_id (least doc_id reachable), kept; one row per row of docs."""
     every = common.written(profiles(docs, size, bands, rows), "profiles")
@@ -168,28 +227,26 @@ def duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT, ban
         # the centre: the least member at first, then one of the last component, which the earlier centres have not reached
         order = F.struct((F.lit(0).cast("long") if labels is None else -F.col("component")).alias("x"), F.col("id").alias("centre"), F.col("n_shingles").alias("cn"), F.col("component").alias("at"))
         centre = at.groupBy("bucket").agg(F.min(order).alias("c"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi")
-        joined = at.join(centre.select("bucket", "c.centre", "c.cn", "c.at"), "bucket")
-        joined = common.written(joined, "bucketed")
-        if turn < stars:
-            pairs = joined.filter("component <> at")
+        joined = common.written(at.join(centre.select("bucket", "c.centre", "c.cn", "c.at"), "bucket"), "bucketed")
+        if joined.isEmpty():
+            break
+        if turn == stars:
+            more = blockwise(docs, joined.select("bucket", "id", "component", "n_shingles"), size, percent)
         else:
-            one, two = joined, joined.select("bucket", F.col("id").alias("centre"), F.col("component").alias("at"), F.col("n_shingles").alias("cn"))
-            pairs = one.drop("centre", "at", "cn").join(two, "bucket").filter("id < centre and component <> at")
-        enough = (100 * F.least("n_shingles", "cn") >= percent * F.greatest("n_shingles", "cn"))
-        pairs = pairs.filter(enough).select(F.least("id", "centre").alias("a"), F.greatest("id", "centre").alias("b")).distinct()
-        # the smaller id is the centre of most stars, so ``a`` is the side that repeats
-        if tested is not None:
-            pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        pairs = common.written(pairs, "pairs")
-        if not pairs.isEmpty():
-            more = common.written(confirmed(docs, pairs, size, percent), "links")
-            links = more if links is None else links.unionByName(more)
-            labels = components(links).select("id", "component")
+            enough = 100 * F.least("n_shingles", "cn") >= percent * F.greatest("n_shingles", "cn")
+            # the smaller id is the centre of most stars, so ``a`` is the side that repeats
+            pairs = joined.filter(F.expr("component <> at") & enough).select(F.least("id", "centre").alias("a"), F.greatest("id", "centre").alias("b")).distinct()
+            if tested is not None:
+                pairs = pairs.join(tested, ["a", "b"], "left_anti")
+            pairs = common.written(pairs, "pairs")
             tested = pairs if tested is None else tested.unionByName(pairs)
-        # a centre has been tested against its whole bucket
-        active = joined.filter("id <> centre").select("bucket", "id", "n_shingles")
-        if active.isEmpty():
-            break
+            more = confirmed(docs, pairs, size, percent)
+            # a centre has been tested against its whole bucket
+            active = joined.filter("id <> centre").select("bucket", "id", "n_shingles")
+        more = common.written(more, "links")
+        if not more.isEmpty():
+            links = more if links is None else links.unionByName(more)
+            labels = components(links)
     out = every.join(classes, key, "left")
     if labels is not None:
         out = out.join(labels.withColumnRenamed("id", "rep"), "rep", "left")
