@@ -12,7 +12,9 @@ from __future__ import annotations
 
 import math
 import re
+from array import array
 from collections import Counter
+from collections.abc import Iterable
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -85,7 +87,7 @@ class NoisyOr:
         return 1 - math.exp(-total), worst
 
 
-def vocabulary(docs: list[set[str]], labels: np.ndarray) -> list[str]:
+def vocabulary(docs: Iterable[set[str]], labels: np.ndarray) -> list[str]:
     """Features whose odds between the classes are far from even, strongest first."""
     pos, neg = Counter(), Counter()
     for words, y in zip(docs, labels, strict=True):
@@ -108,17 +110,17 @@ def train(samples: list[tuple[str, int]], steps: int = 400, rate: float = 0.15,
     if not len(labels) or labels.min() == labels.max():
         return NoisyOr()
     texts = [x.lower() for x, _ in samples]
-    words = vocabulary([{f for w in set(WORD.findall(x)) for f in features(w)} for x in texts], labels)
+    words = vocabulary(({f for w in set(WORD.findall(x)) for f in features(w)} for x in texts), labels)  # one document at a time
     place = {w: i for i, w in enumerate(words)}
     held: dict[str, list[int]] = {}
-    owner, of, which, sentences = [], [], [], 0
+    owner, of, which, sentences = array("q"), array("q"), array("q"), 0
     for d, text in enumerate(texts):
         for m in SENTENCE.finditer(text):
             for w in sorted(set(WORD.findall(m[0]))):
                 if w not in held:
                     held[w] = [place[f] for f in features(w) if f in place]
-                of += [sentences] * len(held[w])
-                which += held[w]
+                of.extend([sentences] * len(held[w]))
+                which.extend(held[w])
             owner.append(d)
             sentences += 1
     owner, of, which = np.array(owner, np.int64), np.array(of, np.int64), np.array(which, np.int64)
