@@ -38,6 +38,8 @@ MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:
 ATTRIBUTE = re.compile(r"(?<![\w-])(class|id|role|hidden|aria-hidden|style)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
 BLANKS = re.compile(r"\s+")
 SPLIT = re.compile(r"[^a-z]+")
+#: Hosts whose winning paths are broadcast at most (about 100 bytes each); beyond it they are joined by a shuffle.
+BROADCAST_HOSTS = 200_000
 HOST = r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]*)"
 
 
@@ -201,8 +203,14 @@ def host_paths(pages: DataFrame) -> DataFrame:
 
 
 def main_text(pages: DataFrame) -> DataFrame:
-    """page_id, url, text, n_chars of every page."""
-    rows = pages.select("page_id", "url", "html", host(F.col("url")).alias("host")).join(host_paths(pages), "host", "left")
+    """page_id, url, text, n_chars of every page.
+
+    The hosts' winning paths are broadcast if there are few enough of them, so that no page is shuffled.
+    """
+    winners = common.written(host_paths(pages), "hosts")
+    if winners.count() <= BROADCAST_HOSTS:
+        winners = F.broadcast(winners)
+    rows = pages.select("page_id", "url", "html", host(F.col("url")).alias("host")).join(winners, "host", "left")
 
     def make():
         def work(pages: list[str | None], winners: list[str | None]) -> list:
