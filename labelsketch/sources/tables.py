@@ -42,7 +42,7 @@ def read_matrix_market(spark: SparkSession, path: str) -> DataFrame:
 def read_adjacency(spark: SparkSession, path: str) -> DataFrame:
     """Lines of a vertex and its neighbours, blank-separated."""
     part = spark.read.text(path).select(F.split(F.trim("value"), r"\s+").alias("p")).filter(F.size("p") > 1)
-    return part.select(F.col("p")[0].cast("long").alias("src"), F.explode(F.slice("p", 2, F.size("p") - 1)).cast("long").alias("dst"), F.lit(1.0).alias("weight"))
+    return part.select(F.col("p")[0].cast("long").alias("src"), F.explode(F.slice("p", 2, F.size("p") - 1).cast("array<long>")).alias("dst"), F.lit(1.0).alias("weight"))
 
 
 def write_labels(labels: DataFrame, path: str, fmt: str = "parquet", partition_by: list[str] | None = None) -> None:
