@@ -8,8 +8,10 @@ only a slot at exactly 0 is free again. With unit weights the three agree in one
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+import functools
+from collections.abc import Callable, Iterable
 
+from pyspark import SparkContext
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,6 +19,16 @@ EMPTY = "cast(array() as array<struct<label:bigint,weight:double>>)"
 OVERFLOW = ("residual", "floor", "as_described")
 
 
+@functools.lru_cache(maxsize=256)
+def _built(gateway, make: Callable[..., Column], name: str, *args) -> Column:
+    return make(F.col(name), *args)
+
+
+def of_column(make: Callable[..., Column], name: str, *args) -> Column:
+    """``make(F.col(name), *args)``, built once: a fold is hundreds of calls to the JVM, and a loop needs it in every iteration."""
+    return _built(SparkContext._gateway, make, name, *args)
+
+
 def slot(label: Column, weight: Column) -> Column:
     return F.struct(label.cast("long").alias("label"), weight.cast("double").alias("weight"))
 

@@ -90,7 +90,7 @@ class HeavyHitter:
         if self.engine == "arrow":
             k, rule = self.k, self.overflow
             return arrow_fold(pairs, lambda: S.Sketch(k, rule), lambda s: {"slots": [{"label": x, "weight": w} for x, w in s.slots.items()]}, "dst long, chunk int, slots array<struct<label:bigint,weight:double>>")
-        return ordered(pairs).select("dst", "chunk", S.mg_fold(F.col("pairs"), self.k, self.overflow).alias("slots"))
+        return ordered(pairs).select("dst", "chunk", S.of_column(S.mg_fold, "pairs", self.k, self.overflow).alias("slots"))
 
     def sketch(self, pairs: DataFrame) -> DataFrame:
         """dst, slots: chunks merged."""
@@ -98,13 +98,13 @@ class HeavyHitter:
         if self.merge == "replay":
             by_chunk = F.transform(F.array_sort(F.collect_list(F.struct("chunk", "slots"))), lambda x: x["slots"])
             whole = parts.groupBy("dst").agg(by_chunk.alias("s"))
-            return whole.select("dst", F.when(F.size("s") == 1, F.get("s", 0)).otherwise(S.mg_merge(F.col("s"), self.k, self.overflow)).alias("slots"))
+            return whole.select("dst", F.when(F.size("s") == 1, F.get("s", 0)).otherwise(S.of_column(S.mg_merge, "s", self.k, self.overflow)).alias("slots"))
         return subtracted(parts, self.k)
 
     def candidates(self, pairs: DataFrame) -> DataFrame:
         whole = self.sketch(pairs)
         if self.scan == "single":
-            return whole.select(F.col("dst").alias("id"), S.mg_top(F.col("slots")).alias("candidate")).filter("candidate is not null")
+            return whole.select(F.col("dst").alias("id"), S.of_column(S.mg_top, "slots").alias("candidate")).filter("candidate is not null")
         survivors = whole.select("dst", F.explode("slots.label").alias("label"))
         return heaviest(linking_weights(pairs.join(survivors, ["dst", "label"], "left_semi")))
 
@@ -131,7 +131,7 @@ class MajorityVote:
         if self.engine == "arrow":
             rule = self.rule
             return arrow_fold(pairs, lambda: S.Vote(rule), lambda v: {"label": v.label, "weight": v.weight}, "dst long, chunk int, label long, weight double").filter("weight > 0")
-        voted = ordered(pairs).select("dst", "chunk", S.vote_fold(F.col("pairs"), self.rule).alias("v"))
+        voted = ordered(pairs).select("dst", "chunk", S.of_column(S.vote_fold, "pairs", self.rule).alias("v"))
         return voted.select("dst", "chunk", "v.label", "v.weight").filter("weight > 0")
 
     def candidates(self, pairs: DataFrame) -> DataFrame:
