@@ -2,7 +2,8 @@
 
 Every page's containers are scored (text of their blocks, less link text, none from boilerplate), under a generalised path
 of tags and classes. The scores are summed per host and path in Spark, the best path of each host wins, and its pages are
-extracted again below the winning path; a page that lacks it falls back on its own best container.
+extracted again around the winning path; a page that lacks it falls back on its own best container. From there the text
+grows to the whole article: outwards through every container that adds mostly text without links.
 
 Null and empty pages, and pages without text, give an empty text. Blocks of the chosen container are kept whole, whatever
 their length. Malformed markup is read leniently. Repeated rows are treated alike, extra columns are ignored, an empty
@@ -44,11 +45,12 @@ HOST = r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]*)"
 
 
 class Node:
-    __slots__ = ("tag", "path", "noise", "link", "score", "box")
+    __slots__ = ("tag", "path", "noise", "link", "score", "box", "rest", "rest_linked")
 
     def __init__(self, tag: str, path: str, noise: bool, link: bool, box: Node | None):
         self.tag, self.path, self.noise, self.link, self.score = tag, path, noise, link, 0.0
         self.box = box  # the container around it
+        self.rest = self.rest_linked = 0  # characters below it, and those in links, that are not of the chosen containers
 
 
 def described(tag: str, attributes: str, inside_article: bool) -> tuple[str, bool]:
@@ -68,8 +70,8 @@ def described(tag: str, attributes: str, inside_article: bool) -> tuple[str, boo
     return step, noise
 
 
-def blocks(page: str) -> tuple[list[tuple[str, list[Node]]], list[Node]]:
-    """(text and containers of each block outside boilerplate, in page order; all containers)."""
+def blocks(page: str) -> tuple[list[tuple[str, int, list[Node]]], list[Node]]:
+    """(text, characters in links and containers of each block outside boilerplate, in page order; all containers)."""
     root = Node("html", "html", False, False, None)
     root.box = root
     stack, found, boxes = [root], [], [root]
@@ -92,7 +94,7 @@ def blocks(page: str) -> tuple[list[tuple[str, list[Node]]], list[Node]]:
                 worth = len(text) - 2.0 * linked
                 for share, node in zip((1.0, 0.5, 0.25, 0.1), chain, strict=False):
                     node.score += share * worth
-                found.append((text, chain))
+                found.append((text, min(linked, len(text)), chain))
             parts.clear()
         linked = 0
 
@@ -171,16 +173,47 @@ def best_paths(page: str | None) -> dict[str, float]:
     return scores
 
 
+def article(found: list[tuple[str, int, list[Node]]], chosen: set[int]) -> list[str]:
+    """Texts of the article that the chosen containers are part of.
+
+    An article element is taken whole. Otherwise each container around is taken whole, up to main or the root, unless half
+    of what it adds is in links: then only its blocks with less than that are added (of body those outside other
+    containers). Further out, too, only blocks outside other containers are added, such as a heading above the article.
+    """
+    starts = {id(b): b for _, _, chain in found for b in chain if id(b) in chosen}
+    for text, linked, chain in found if starts else ():
+        if not any(id(b) in chosen for b in chain):
+            for b in chain:
+                b.rest += len(text)
+                b.rest_linked += linked
+    taken, thinned, own = set(starts), set(), set()
+    for box in starts.values():
+        around = [box]
+        while around[-1].box is not around[-1]:
+            around.append(around[-1].box)
+        k = max((i for i, b in enumerate(around) if b.tag == "article"), default=0)
+        taken.update(id(b) for b in around[: k + 1])
+        closed = any(b.tag == "main" for b in around[: k + 1]) or around[k].tag == "article" and all(b.tag != "main" for b in around)
+        for inner, b in zip(around[k:], around[k + 1 :], strict=False):
+            if closed:
+                own.add(id(b))
+            elif 2 * (b.rest_linked - inner.rest_linked) < b.rest - inner.rest or b.rest == inner.rest:
+                taken.add(id(b))
+                closed = b.tag == "main"
+            else:
+                (own if b.tag in ("body", "html") else thinned).add(id(b))
+                closed = True
+    return [t for t, linked, chain in found if any(id(b) in taken for b in chain) or 2 * linked < len(t) and (id(chain[0]) in own or any(id(b) in thinned for b in chain))]
+
+
 def extract(page: str | None, winner: str | None) -> str:
-    """Text below the containers at the winning path; below the page's own best container where it has none."""
+    """Text of the article around the containers at the winning path; around the page's own best container where it has none."""
     if not page:
         return ""
     found, boxes = blocks(page)
-    chosen = {id(b) for b in boxes if b.path == winner}
-    texts = [t for t, chain in found if any(id(b) in chosen for b in chain)] if chosen else []
+    texts = article(found, {id(b) for b in boxes if b.path == winner})
     if not texts and found:
-        best = max(boxes, key=lambda b: b.score)
-        texts = [t for t, chain in found if any(b is best for b in chain)]
+        texts = article(found, {id(max(boxes, key=lambda b: b.score))})
     return "\n\n".join(texts)
 
 

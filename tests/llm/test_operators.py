@@ -379,6 +379,30 @@ def test_main_text(spark, sf):
         assert r.text == "\n\n".join(x for x in want if x)
 
 
+BODY = "".join(f"<p>{PROSE}</p>" for _ in range(4))
+TEXTS = [PROSE.strip()] * 4
+LINKS = "<ul>" + "".join(f"<li><a href=/{i}>Another story of the day {i}</a>" for i in range(9)) + "</ul>"
+
+
+@pytest.mark.parametrize(
+    ("page", "want"),
+    [
+        (f"<body><nav>n</nav><article><h1>T</h1><p>lead</p><div class=body>{BODY}</div></article>", ["T", "lead", *TEXTS]),
+        (f"<body><div class=post><h1>T</h1><p>lead</p><div class=body>{BODY}</div>{LINKS}</div><div>{LINKS}</div>", ["T", "lead", *TEXTS]),
+        (f"<body>{LINKS}<h1>T</h1><p>lead</p><div class=body>{BODY}</div><div>© x</div>", ["T", "lead", *TEXTS]),
+        (f"<body><div class=post><div class=intro><p>lead</p><p>more</p></div><div class=body>{BODY}</div></div>", ["lead", "more", *TEXTS]),
+        (f"<body><main><div class=hero><h1>T</h1></div><article><p>lead</p><section class=a>{BODY}</section><section class=b><p>end</p></section></article></main><div>x</div>", ["T", "lead", *TEXTS, "end"]),
+        (f"<body><article><p>before</p><blockquote>{BODY}</blockquote><p>after</p></article><div>x</div>", ["before", *TEXTS, "after"]),
+        (f"<body><div class=post><p>before</p><table><tr><td>{BODY}<td>cell</table></div>", ["before", *TEXTS, "cell"]),
+        (f"<body><div>{LINKS}</div><div class=body>{BODY}</div>", TEXTS),
+    ],
+)
+def test_article_is_whole(page, want):
+    scores = html_text.best_paths(page)
+    for winner in (max(scores, key=scores.get), None):
+        assert html_text.extract(page, winner).split("\n\n") == want
+
+
 # the pipeline
 
 
