@@ -5,6 +5,9 @@ of tags and classes. The scores are summed per host and path in Spark, the best
 extracted again around the winning path; a page that lacks it falls back on its own best container. From there the text
 grows to the whole article: outwards through every container that adds mostly text without links.
 
+A container that only its class, id or role, or being a form, marks as boilerplate is none if it holds most of the page's
+text without links: a page is not lost by the name of its layout.
+
 Null and empty pages, and pages without text, give an empty text. Blocks of the chosen container are kept whole, whatever
 their length. Malformed markup is read leniently. Repeated rows are treated alike, extra columns are ignored, an empty
 table gives an empty result. A hot host is only ever a sum of partial sums and one side of a join that Spark can split.
@@ -31,6 +34,14 @@ CONTAINER = frozenset("article section main div td body blockquote table tbody t
 NOISE = frozenset(
     "ad ads adv advert adverts advertisement advertising adsense adbox banner promo promotion sponsor sponsored sponsors nav navbar navigation menu menus submenu sidebar sidebars side rail footer foot header masthead topbar toolbar breadcrumb breadcrumbs cookie cookies consent gdpr notice notices alert notification popup modal overlay newsletter subscribe subscription signup login search share sharing social related recommended recommendations comment comments commentlist disqus reply replies respond discussion reviews pagination pager tags taglist widget widgets legal copyright disclaimer skip complementary contentinfo paywall".split()
 )
+#: Words that say that what follows is, or is not, beside an element; tags that are never boilerplate by name;
+#: tags that are boilerplate only where they do not hold most of the text; tags that show where an article is, and how surely.
+BESIDE = frozenset("has no with without".split())
+NEVER = frozenset("body html article main".split())
+SOFT = frozenset("form fieldset".split())
+ANCHOR = {"article": 2, "main": 2, "h1": 1}
+#: Share of the text without links beyond which a mark is overruled: where no surer anchor with text is outside it, and else.
+MOST, NEARLY_ALL = 0.5, 0.75
 #: Closing tags that a new element of a kind implies.
 CLOSES = {"li": {"li", "p"}, "dt": {"dt", "dd", "p"}, "dd": {"dt", "dd", "p"}, "tr": {"tr", "td", "th", "p"}, "td": {"td", "th", "p"}, "th": {"td", "th", "p"}, "option": {"option"}}
 STOPS = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"tr", "table"}, "th": {"tr", "table"}, "option": {"select"}}
@@ -45,35 +56,87 @@ HOST = r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]*)"
 
 
 class Node:
-    __slots__ = ("tag", "path", "noise", "link", "score", "box", "rest", "rest_linked")
+    __slots__ = ("tag", "path", "noise", "link", "score", "box", "rest", "rest_linked", "mark", "anchor")
 
     def __init__(self, tag: str, path: str, noise: bool, link: bool, box: Node | None):
         self.tag, self.path, self.noise, self.link, self.score = tag, path, noise, link, 0.0
         self.box = box  # the container around it
         self.rest = self.rest_linked = 0  # characters below it, and those in links, that are not of the chosen containers
+        self.mark: Mark | None = None  # the innermost mark that can be overruled; none under one that can't be
+        self.anchor = 0  # the surest anchor between the mark and here
+
+
+class Mark:
+    """What a mark that can be overruled holds; the root stands for the text that is not marked."""
+
+    __slots__ = ("at", "in_article", "inside", "worth", "anchor")
+
+    def __init__(self, at: int, in_article: bool):
+        self.at, self.in_article, self.worth, self.anchor = at, in_article, 0.0, 0
+        self.inside: list[Mark] = []
+
+    def hold(self, size: int, link: bool, anchor: int) -> None:
+        self.worth += -size if link else size
+        self.anchor = max(self.anchor, anchor)
 
 
-def described(tag: str, attributes: str, inside_article: bool) -> tuple[str, bool]:
-    """(step of a generalised path, is it boilerplate)."""
+def named_noise(value: str) -> bool:
+    """Is a word of one of the names in the value that of boilerplate, and not behind a word like has or no."""
+    for name in value.split():
+        for word in SPLIT.split(name):
+            if word in BESIDE:
+                break
+            if word in NOISE:
+                return True
+    return False
+
+
+def described(tag: str, attributes: str, inside_article: bool) -> tuple[str, bool, bool]:
+    """(step of a generalised path, is it boilerplate, can that be overruled)."""
     step, noise = tag, tag in SKIP or (tag == "header" and not inside_article)
+    hard = noise and tag not in SOFT
     if attributes:
         for m in ATTRIBUTE.finditer(attributes):
             name, value = m[1].lower(), (m[2] or m[3] or m[4] or "").lower()
             if name == "class":
                 step += "".join(f".{c}" for c in sorted(set(re.sub(r"[0-9]+", "#", value).split())))
             if name in ("class", "id", "role"):
-                noise |= tag not in ("body", "html") and not NOISE.isdisjoint(SPLIT.split(value))
+                noise |= tag not in NEVER and named_noise(value)
             elif name == "hidden" or (name == "aria-hidden" and value == "true"):
-                noise = True
+                hard = True
             elif name == "style":
-                noise |= "display:none" in value.replace(" ", "")
-    return step, noise
+                hard |= "display:none" in value.replace(" ", "")
+    return step, noise or hard, not hard
+
+
+def overruled(root: Mark) -> set[int]:
+    """Where the marks begin that hold most of the page's text without links; none beside an article that is not marked."""
+    order = [root]
+    for m in order:
+        order += m.inside
+    sums: dict[int, tuple[float, int]] = {}
+    for m in reversed(order):
+        below = [sums[x.at] for x in m.inside]
+        sums[m.at] = max(m.worth, 0.0) + sum(x for x, _ in below), max([m.anchor, *(x for _, x in below)])
+    whole, at, found, outside = sums[root.at][0], root, set(), root.anchor
+    while whole and at.inside:
+        at = max(at.inside, key=lambda m: sums[m.at][0])
+        held, anchor = sums[at.at]
+        if outside == 2 > anchor and not at.in_article or held <= whole * (NEARLY_ALL if outside > anchor else MOST):
+            break
+        found.add(at.at)
+        outside = max(outside, at.anchor)
+    return found
 
 
-def blocks(page: str) -> tuple[list[tuple[str, int, list[Node]]], list[Node]]:
-    """(text, characters in links and containers of each block outside boilerplate, in page order; all containers)."""
+def blocks(page: str, allowed: frozenset[int] | None = None) -> tuple[list[tuple[str, int, list[Node]]], list[Node]]:
+    """(text, characters in links and containers of each block outside boilerplate, in page order; all containers).
+
+    The marks of boilerplate on the elements at ``allowed`` do not count; None: on those that hold most of the text.
+    """
     root = Node("html", "html", False, False, None)
     root.box = root
+    marks = root.mark = Mark(-1, False)
     stack, found, boxes = [root], [], [root]
     parts: list[str] = []
     linked = 0
@@ -106,11 +169,14 @@ def blocks(page: str) -> tuple[list[tuple[str, int, list[Node]]], list[Node]]:
     while at < n:
         m = MARKUP.search(page, at)
         end = m.start() if m else n
-        if end > at and not stack[-1].noise:
+        if end > at and (top := stack[-1]).mark is not None:
             piece = page[at:end]
-            parts.append(piece)
-            if stack[-1].link:
-                linked += len(piece)
+            if allowed is None and (size := len(piece.strip())):
+                top.mark.hold(size, top.link, top.anchor)
+            if not top.noise:
+                parts.append(piece)
+                if top.link:
+                    linked += len(piece)
         if not m:
             break
         at = m.end()
@@ -149,17 +215,27 @@ def blocks(page: str) -> tuple[list[tuple[str, int, list[Node]]], list[Node]]:
             at = page.find(">", close) + 1 or n
             continue
         top = stack[-1]
-        step, noise = described(tag, m[3], any(x.tag in ("article", "main") for x in stack))
+        in_article = any(x.tag in ("article", "main") for x in stack)
+        step, noise, soft = described(tag, m[3], in_article)
+        noise &= not (soft and allowed and at in allowed)
         box = top if top.tag in CONTAINER or top is root else top.box
         if noise and not top.noise:
             flush()
         node = Node(tag, f"{box.path}>{step}" if tag in CONTAINER else box.path, top.noise or noise, top.link or tag == "a", box)
+        if top.mark is not None and (soft or not noise):
+            if noise and allowed is None:
+                node.mark = Mark(at, in_article)
+                top.mark.inside.append(node.mark)
+            else:
+                node.mark, node.anchor = top.mark, max(top.anchor, ANCHOR.get(tag, 0))
         stack.append(node)
         if tag in CONTAINER and not node.noise:
             boxes.append(node)
         if len(stack) > 3000:
             leave(2000)  # absurdly deep markup: its blocks are read, its paths end here
     flush()
+    if allowed is None and marks.inside and (most := overruled(marks)):
+        return blocks(page, frozenset(most))
     return found, boxes
 
 

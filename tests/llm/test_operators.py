@@ -403,6 +403,29 @@ def test_article_is_whole(page, want):
         assert html_text.extract(page, winner).split("\n\n") == want
 
 
+@pytest.mark.parametrize(
+    ("page", "want"),
+    [
+        (f'<body><div class="layout with-sidebar"><nav>n</nav>{BODY}<div class="sidebar">s</div></div>', TEXTS),
+        (f'<body><main id="content" class="no-sidebar">{BODY}</main>', TEXTS),
+        (f'<body><article class="post has-comments">{BODY}</article>', TEXTS),
+        (f'<body><article class="post comments-open">{BODY}<div class="comments">c</div></article>', TEXTS),
+        (f'<body><div class="social-layout"><div class="nav">n</div>{BODY}</div>', TEXTS),
+        (f'<body><h1>Site</h1><div class="social-layout">{BODY}</div>', ["Site", *TEXTS]),
+        (f'<body><form id="aspnetForm" action=x><input name=q><div class="menu">{LINKS}</div><div class="content">{BODY}</div><div class="comments">{BODY[: len(BODY) // 2]}</div></form>', TEXTS),
+        (f'<body><form><div class="social-layout"><section class="side-story">{BODY}</section></div></form>', TEXTS),
+        (f'<body><article>{BODY}</article><div class="comments">{BODY * 2}</div>', TEXTS),
+        (f'<body><article><h1>T</h1><div class="share-body">{BODY}</div></article>', ["T", *TEXTS]),
+        (f'<body><div class="ad">{BODY}</div><article><h1>T</h1><p>short</article>', ["T", "short"]),
+        (f'<body><div class="content">{BODY}</div><div class="sidebar">{LINKS * 9}</div><form>Search</form>', TEXTS),
+        (f'<body><p>x<div class="ad" hidden>{BODY}</div>', ["x"]),
+        ('<div class="ad">' * 2000 + "x", ["x"]),
+    ],
+)
+def test_marks_do_not_take_the_page(page, want):
+    assert html_text.extract(page, None).split("\n\n") == want
+
+
 # the pipeline
 
 
