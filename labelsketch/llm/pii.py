@@ -2,7 +2,7 @@
 
 A transducer rewrites homoglyphs, foreign digits, invisible characters, spelled digits and at/dot disguises, and keeps for
 every character it writes the span of the source that it stands for. The detectors run on the source (base spans) and on
-what the transducer wrote; spans found there are mapped back and added where they touch no base span of their kind.
+what the transducer wrote; spans found there are mapped back and added unless they lie within a base span of their kind.
 
 Nulls are empty texts without spans. The detectors and the transducer are linear in the text, also on long runs. Repeated
 rows are treated alike, extra columns are ignored, an empty table gives an empty result.
@@ -159,7 +159,7 @@ def find(text: str | None) -> tuple[dict[str, list[tuple[int, int]]], dict[str,
         for kind, more in detect(written).items():
             for span in more:
                 left, right = to_source(span, blocks, starts, len(written))
-                if all(right <= a or b <= left for a, b in base[kind]):
+                if not any(a <= left and right <= b for a, b in base[kind]):
                     spans[kind].append((left, right))
             spans[kind].sort()
     return base, spans

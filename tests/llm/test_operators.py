@@ -221,6 +221,22 @@ def test_disguises_map_back(text, kind, hidden):
     assert hidden not in pii.redact(text) and f"<{kind.upper()}>" in pii.redact(text)
 
 
+@pytest.mark.parametrize(
+    ("text", "kind", "base", "whole"),
+    [
+        ("to j\u043ehn@example.com now", "email", "hn@example.com", "j\u043ehn@example.com"),
+        ("to jane@mail.example [dot] com now", "email", "jane@mail.example", "jane@mail.example [dot] com"),
+        ("call +1 222 333 44 five six seven eight now", "phone", "+1 222 333 44", "+1 222 333 44 five six seven eight"),
+        ("to j\u043ehn@example.com, hn@example.com", "email", "hn@example.com", "j\u043ehn@example.com"),
+    ],
+)
+def test_partial_disguises_are_whole(text, kind, base, whole):
+    plain, spans = pii.find(text)
+    assert plain == pii.detect(text) and text[slice(*plain[kind][0])] == base
+    assert whole in [text[a:b] for a, b in spans[kind]] and set(plain[kind]) < set(spans[kind])
+    assert pii.redact(text) == text.replace(whole, f"<{kind.upper()}>").replace(base, f"<{kind.upper()}>")
+
+
 @pytest.mark.parametrize("text", ["we met at noon, dot your i", "one or two, three at most", "", "1.2.3 at 4", "Привет, мир", "at home"])
 def test_clean_texts_stay(text):
     assert not any(pii.find(text)[1].values()) and pii.redact(text) == text
