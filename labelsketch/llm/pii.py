@@ -33,16 +33,18 @@ CARD = re.compile(r"[0-9](?:[ -]?[0-9])++")
 PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 
 WORD = "|".join(DIGIT_WORDS)
+#: Characters that may stand for others: all but those of Latin script, and of these the no-break space and the soft hyphen.
+ODD = r"(?-i:[\u0250-\U0010ffff\xa0\xad])"
 #: What the transducer rewrites, leftmost first: bracketed and spoken at and dot, runs of spelled digits, odd characters.
 REWRITE = re.compile(
     r"(?P<at>\s{0,3}[\[({<]\s?at\s?[\])}>]\s{0,3}|(?<=\w)\s{1,3}at\s{1,3}(?=[A-Za-z0-9-]{1,63}(?:\s{1,3}dot\s|\s{0,3}[\[({<]\s?dot\s?[\])}>]))|\s{0,3}[\[({<]@[\])}>]\s{0,3})"
     r"|(?P<dot>\s{0,3}[\[({<]\s?(?:dot|\.)\s?[\])}>]\s{0,3}|(?<=\w)\s{1,3}dot\s{1,3}(?=\w))"
     rf"|(?P<digits>(?<!\w)(?:plus[\s-]{{1,2}})?(?:{WORD})(?:[\s,.-]{{1,2}}(?:{WORD}|[0-9]+)){{3,}}(?!\w))"
-    r"|(?P<odd>[^\x00-ɏ])",
+    rf"|(?P<odd>{ODD})",
     re.I,
 )
-#: A text without any of these is left as it is.
-TRIGGER = re.compile(rf"[^\x00-ɏ]|[\[({{<]\s?(?:at|dot|@|\.)\s?[\])}}>]|\sdot\s|\b(?:{WORD})[\s,.-]{{1,2}}(?:{WORD})\b", re.I)
+#: A text without any of these is left as it is; REWRITE finds nothing without one of them.
+TRIGGER = re.compile(rf"{ODD}|[\[({{<]\s?(?:at|dot|@|\.)\s?[\])}}>]|\sdot\s|\b(?:{WORD})[\s,.-]{{1,2}}(?:{WORD}|[0-9])", re.I)
 SPELLED = re.compile(rf"(?P<plus>plus)|(?P<word>{WORD})|(?P<number>[0-9]+)", re.I)
 
 

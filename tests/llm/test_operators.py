@@ -237,6 +237,33 @@ def test_partial_disguises_are_whole(text, kind, base, whole):
     assert pii.redact(text) == text.replace(whole, f"<{kind.upper()}>").replace(base, f"<{kind.upper()}>")
 
 
+@pytest.mark.parametrize(
+    ("text", "kind", "whole"),
+    [
+        ("card 4111\xa01111\xa01111\xa01111 x", "card", "4111\xa01111\xa01111\xa01111"),
+        ("call +1\xa0222\xa0333\xa04444 x", "phone", "+1\xa0222\xa0333\xa04444"),
+        ("to jo\xadhn@exam\xadple.com x", "email", "jo\xadhn@exam\xadple.com"),
+        ("call +1 two 3 four 5 six 7 eight 1 now", "phone", "+1 two 3 four 5 six 7 eight 1"),
+        ("four 111 one 111 one 111 one 111 x", "card", "four 111 one 111 one 111 one 111"),
+    ],
+)
+def test_listed_disguises_are_reached(text, kind, whole):
+    assert [text[a:b] for a, b in pii.find(text)[1][kind]] == [whole]
+    assert pii.redact(text) == text.replace(whole, f"<{kind.upper()}>")
+
+
+def test_trigger_covers_rewrite():
+    rng = np.random.default_rng(5)
+    parts = ["one", "2", "three", "44", "oh", "plus", " ", "-", ", ", ".", "at", "dot", "[", "]", "(", ")", "@", "a", "\xa0", "\xad", "\u043e", "é", "\u212a", "\u0131"]
+    found = 0
+    for _ in range(20000):
+        text = "".join(rng.choice(parts, rng.integers(1, 14)))
+        if pii.REWRITE.search(text):
+            found += 1
+            assert pii.TRIGGER.search(text), text
+    assert found > 1000
+
+
 @pytest.mark.parametrize("text", ["we met at noon, dot your i", "one or two, three at most", "", "1.2.3 at 4", "Привет, мир", "at home"])
 def test_clean_texts_stay(text):
     assert not any(pii.find(text)[1].values()) and pii.redact(text) == text
