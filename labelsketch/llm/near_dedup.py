@@ -257,10 +257,23 @@ def duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT, ban
     return out.select("doc_id", "n_shingles", component.alias("component_id"), kept.alias("kept"))
 
 
+def numbered(docs: DataFrame) -> DataFrame:
+    """The rows as __row and their text, with numbers of their own as doc_id in the order of the old ones, nulls last.
+
+    Copies are spread by their place in the input, so that no id or text has to fit into one task.
+    """
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("__row"), "text", F.monotonically_increasing_id().alias("place"))
+    rows = rows.orderBy(F.col("__row.doc_id").asc_nulls_last(), F.xxhash64("text"), "place")
+    return common.written(rows.select("__row", "text", F.monotonically_increasing_id().alias("doc_id")), "numbered")
+
+
 def kept_rows(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """The documents with one of each group left (that of the least id), all columns and no others."""
-    gone = common.written(duplicates(docs, size, percent).filter("not kept and doc_id is not null").select("doc_id").distinct(), "gone")
-    left = with_ids(docs, gone, "left_anti").select(*docs.columns)
-    if docs.groupBy("doc_id").count().filter("count > 1").isEmpty():
-        return left
-    return left.dropDuplicates(["doc_id", "text"])
+    """The documents with one of each group left (that of the least id), all columns and no others.
+
+    Where ids repeat or are missing, every row is judged under a number of its own.
+    """
+    unique = docs.groupBy("doc_id").count().filter("count > 1 or doc_id is null").isEmpty()
+    rows = docs if unique else numbered(docs)
+    gone = common.written(duplicates(rows, size, percent).filter("not kept").select("doc_id").distinct(), "gone")
+    left = with_ids(rows, gone, "left_anti")
+    return left.select(*docs.columns) if unique else left.select("__row.*").dropDuplicates(["doc_id", "text"])

@@ -180,6 +180,16 @@ def test_decontamination_on_table(spark, sf):
         assert (r.n_words, r.n_hit, r.n_items, r.items_sha256) == leaked(texts[r.doc_id], items)
 
 
+def test_kept_rows_judges_rows_not_ids(spark):
+    one, other, third = PROSE, "Quite another text about ships and harbours and the men who sail them over the seas.", "A third one that tells of bread and salt and of the long way to the mill in winter."
+    rows = [(5, other), (5, one.upper()), (3, one), (None, third), (None, third.upper() + " "), (None, other + "  "), (7, None), (None, None), (9, "short"), (9, "short")]
+    kept = rows_of(near_dedup.kept_rows(spark.createDataFrame(rows, "doc_id long, text string")))
+    assert [r for r in kept if r.text in (one, one.upper())] == [(3, one)]
+    assert [r for r in kept if r.text in (other, other + "  ")] == [(5, other)]
+    assert sum(r.text in (third, third.upper() + " ") for r in kept) == 1
+    assert sorted(map(str, (tuple(r) for r in kept if r.text in (None, "short")))) == ["(7, None)", "(9, 'short')", "(None, None)"] and len(kept) == 6
+
+
 # personal data
 
 EMAIL, IP, CARD, PHONE = (re.compile(p) for p in (r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", r"[0-9]([\x20-]?[0-9])+", r"\+[0-9][\x20().0-9-]+[0-9]"))
