@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -11,6 +9,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..store import drop, shared_dir, written
+
+__all__ = ["drop", "shared_dir", "written"]
+
 #: ASCII upper and lower case, for lower-casing A-Z alone.
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: The same as a table of str.translate.
@@ -68,24 +70,3 @@ def label_sample(rows: DataFrame, label: str, per_label: int, seed: str) -> Data
     draw = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(seed)), F.lit(1_000_000))
     rate = F.element_at(F.create_map(*[F.lit(x) for k, n in counts.items() for x in (k, int(min(1.0, per_label / n) * 1_000_000))]), F.col(label))
     return rows.filter(draw < rate)
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """A folder that driver and executors share: spark.checkpoint.dir, else (as in tests, on one machine) one of our own."""
-    context = spark.sparkContext
-    base = context.getConf().get("spark.checkpoint.dir")
-    if not base:
-        known = context._jsc.sc().getCheckpointDir()
-        base = known.get() if known.isDefined() else None
-    if not base:
-        base = tempfile.mkdtemp(prefix="checkpoints-")
-        context.setCheckpointDir(base)
-    return base
-
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """The rows, written as Parquet to the shared folder and read again: lineage ends here and survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark).rstrip('/')}/tables/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)

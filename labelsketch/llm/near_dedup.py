@@ -1,15 +1,18 @@
 """Near-duplicate classes by one-permutation MinHash with optimal densification.
 
 Every set of word shingles is hashed once into ``BANDS * ROWS`` bins; empty bins borrow from the first filled bin of a
-random order of their own, the same in all documents. Equal sets are one class from the start. Bands of bins are buckets;
-a bucket proposes a star of pairs around one member, so proposals are linear in its size. Pairs are confirmed on the full
-sets and joined into components. Members that a star has left in different components get further stars in their bucket;
-what ``STARS`` rounds leave is compared in bounded blocks, which emit links only: no proposal is dropped.
+random order of their own, the same in all documents. Equal sets are one class from the start. Bands of bins are buckets; a
+bucket proposes a star around one member. In each of ``STARS`` turns a class is tested on the full sets against one centre,
+the one that most of its buckets propose, so candidate edges are one per class and turn. Buckets whose classes have all
+been joined are done. The buckets that still hold several components form clusters; of a cluster, the classes outside its
+largest component are compared with all classes of a fitting size in bounded blocks, and a block returns a spanning forest
+of its links: no proposal is dropped. That step costs outside x all products inside a cluster, without rows for pairs.
 
 Nulls and texts without words have empty sets and are linked with nothing; a text shorter than a shingle is one shingle.
-Very long texts are used whole. Rows that share a doc_id are judged each by its own text; rows without one stay alone or
-take the component of their copies. Extra columns are ignored, an empty table gives an empty result. A group of copies of
-any size is a partial aggregate and one side of joins that Spark can split.
+Very long texts are used whole. doc_id may be of any type that can be ordered. Rows that share a doc_id are judged each by its
+own text; rows without one stay alone or take the component of their copies. Extra columns are ignored, an empty table gives
+an empty result. A group of copies of any size is a partial aggregate; joins on buckets, centres and components deal the
+rows of one key into parts of ``SALT_ROWS``.
 """
 
 from __future__ import annotations
@@ -24,9 +27,11 @@ from . import common
 SHINGLE, PERCENT = 5, 80
 #: At a similarity of 0.8 a pair is missed with probability (1 - 0.8^6)^50 = 2.5e-7.
 ROWS, BANDS = 6, 50
-STARS = 3
+STARS = 2
 #: Members and shingles of a block, on average at most, and columns of a block's product taken at a time.
-BLOCK_ROWS, BLOCK_SHINGLES, COLUMNS = 256, 400_000, 8192
+BLOCK_ROWS, BLOCK_SHINGLES, COLUMNS = 512, 400_000, 4096
+#: Rows of one key that a task joins, about.
+SALT_ROWS = 256
 #: Ids that are broadcast at most; beyond it they are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
 NONE = np.uint64(0xFFFFFFFFFFFFFFFF)
@@ -78,12 +83,13 @@ def bucket_keys(signature: np.ndarray, bands: int, rows: int) -> np.ndarray:
     return key.view(np.int64)
 
 
-def profiles(docs: DataFrame, size: int, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """doc_id, n_shingles, a 128-bit checksum of the set (f1, f2), and its buckets."""
-    schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_shingles long, f1 long, f2 long, buckets array<long>"
+def fingerprints(docs: DataFrame, size: int, extra: str, make) -> DataFrame:
+    """doc_id, n_shingles, a 128-bit checksum of the set (f1, f2) and what ``make`` gives for a batch of sets."""
+    schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_shingles long, f1 long, f2 long, {extra}"
+    names = ["doc_id", "n_shingles", "f1", "f2", extra.split()[0]]
 
     def run(batches):
-        order = borrow_order(bands * rows)
+        work = make()
         for whole in batches:
             for batch in common.slices(whole, ["set"], 4 << 20):
                 sets = batch.column("set")
@@ -91,18 +97,34 @@ def profiles(docs: DataFrame, size: int, bands: int = BANDS, rows: int = ROWS) -
                 values = sets.flatten().to_numpy().view(np.uint64)
                 some = np.nonzero(sizes)[0]
                 f1, f2 = np.zeros(len(sizes), np.uint64), np.zeros(len(sizes), np.uint64)
-                keys = np.zeros((0, bands), np.int64)
                 if len(some):
                     starts = (np.cumsum(sizes) - sizes)[some]
                     f1[some] = np.add.reduceat(mixed(values), starts)
                     f2[some] = np.bitwise_xor.reduceat(mixed(values + np.uint64(0x632BE59BD9B4E019)), starts)
-                    keys = np.concatenate([bucket_keys(signatures(values[a:b], part, order), bands, rows) for a, b, part in grouped(sizes[some])])
-                offsets = np.r_[0, np.cumsum(np.where(sizes > 0, bands, 0))].astype(np.int32)
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sizes.astype(np.int64)), pa.array(f1.view(np.int64)), pa.array(f2.view(np.int64)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(keys.ravel()))], ["doc_id", "n_shingles", "f1", "f2", "buckets"])
+                columns = [batch.column("doc_id"), pa.array(sizes.astype(np.int64)), pa.array(f1.view(np.int64)), pa.array(f2.view(np.int64)), work(sets, sizes, values)]
+                yield pa.RecordBatch.from_arrays(columns, names)
 
     return shingle_sets(docs, size).mapInArrow(run, schema)
 
 
+def profiles(docs: DataFrame, size: int, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+    """doc_id, n_shingles, f1, f2 and the buckets of each set (none of an empty one)."""
+
+    def make():
+        order = borrow_order(bands * rows)
+
+        def work(sets, sizes: np.ndarray, values: np.ndarray) -> pa.Array:
+            some = sizes[sizes > 0]
+            parts = [bucket_keys(signatures(values[a:b], part, order), bands, rows) for a, b, part in grouped(some)] if len(some) else []
+            keys = np.concatenate(parts) if parts else np.zeros((0, bands), np.int64)
+            offsets = np.r_[0, np.cumsum(np.where(sizes > 0, bands, 0))].astype(np.int32)
+            return pa.ListArray.from_arrays(pa.array(offsets), pa.array(keys.ravel()))
+
+        return work
+
+    return fingerprints(docs, size, "buckets array<long>", make)
+
+
 def grouped(sizes: np.ndarray, most: int = 512):
     """(first value, end, sizes) of runs of up to ``most`` sets."""
     ends = np.cumsum(sizes)
@@ -116,16 +138,16 @@ def with_ids(rows: DataFrame, ids: DataFrame, how: str) -> DataFrame:
     return rows.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, "doc_id", how)
 
 
-def confirmed(docs: DataFrame, pairs: DataFrame, size: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets are similar enough.
+def spread(rows: DataFrame, lookup: DataFrame, key: str, how: str = "inner", widths: DataFrame | None = None) -> DataFrame:
+    """rows joined with the one row of lookup that has their key, without a hot task however many rows share the key.
 
-    The member's set travels to the star's centre, so what moves is linear in the members, and a hot centre can be split.
+    Rows carry ``id`` and ``salts``, a number of parts; each joins by (key, part), and lookup rows are repeated for as many
+    parts as the rows of their key ask for.
     """
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = common.written(shingle_sets(with_ids(docs.select("doc_id", "text"), common.written(ids, "ids"), "left_semi"), size), "sets")
-    both = pairs.join(sets.select(F.col("doc_id").alias("b"), F.col("set").alias("sb")), "b").join(sets.select(F.col("doc_id").alias("a"), F.col("set").alias("sa")), "a")
-    common_size = F.size(F.array_intersect("sa", "sb"))
-    return both.filter(100 * common_size >= percent * (F.size("sa") + F.size("sb") - common_size)).select("a", "b").distinct()
+    width = (rows if widths is None else widths).groupBy(key).agg(F.max("salts").alias("__width"))
+    repeated = lookup.join(width, key).withColumn("__salt", F.explode(F.sequence(F.lit(0), F.col("__width") - 1))).drop("__width")
+    dealt = rows.withColumn("__salt", F.pmod(F.xxhash64("id"), F.col("salts")).cast("int"))
+    return dealt.join(repeated, [key, "__salt"], how).drop("__salt")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -149,12 +171,42 @@ def components(edges: DataFrame) -> DataFrame:
         seen = state
 
 
+def hooked(links: DataFrame) -> DataFrame:
+    """(id, component) of every component in links (id, to, salts), which tie components to smaller ones.
+
+    A component with one target that nothing is tied to takes what the target ends in, so only the others go through the
+    rounds of stars, and the many members of a group cost one row each.
+    """
+    links = common.written(links.groupBy("id", "to").agg(F.max("salts").alias("salts")), "links")
+    target = links.select(F.col("to").alias("id")).distinct()
+    several = links.groupBy("id").agg(F.count("*").alias("n")).filter("n > 1").select("id")
+    inside = target.unionByName(several).distinct()
+    core = components(links.join(inside, "id", "left_semi").select(F.col("id").alias("a"), F.col("to").alias("b")))
+    ends = target.join(core, "id", "left").select(F.col("id").alias("to"), F.coalesce("component", "id").alias("component"))
+    leaves = spread(links.join(inside, "id", "left_anti"), ends, "to").select("id", "component")
+    return common.written(leaves.unionByName(core), "hooked")
+
+
+def relabelled(labels: DataFrame | None, found: DataFrame, links: DataFrame) -> DataFrame:
+    """labels (id, component, salts) after components were joined: found is (component, new one), links say who was new."""
+    fresh = found.join(links.groupBy("id").agg(F.max("salts").alias("salts")), "id", "left").select("id", "component", F.coalesce("salts", F.lit(1)).alias("salts"))
+    if labels is None:
+        return common.written(fresh, "labels")
+    up = found.select(F.col("id").alias("component"), F.col("component").alias("up"))
+    old = spread(labels, up, "component", "left").select("id", F.coalesce("up", "component").alias("component"), "salts")
+    return common.written(old.unionByName(fresh.join(labels, "id", "left_anti")), "labels")
+
+
 def compared(left: pa.Table, right: pa.Table, percent: int) -> pa.Table:
-    """Links between two blocks of sets; the sizes of the intersections are a product of their 0/1 matrices, by columns."""
-    sides = [(t.column("id").to_pylist(), t.column("component").to_numpy(), t.column("set").combine_chunks()) for t in (left, right)]
-    values = [x.flatten().to_numpy() for _, _, x in sides]
-    sizes = [np.diff(x.offsets.to_numpy()) for _, _, x in sides]
-    shared = np.intersect1d(np.unique(values[0]), np.unique(values[1]))
+    """A spanning forest of the links between the components in two blocks of sets.
+
+    The sizes of the intersections are a product of the blocks' 0/1 matrices, by columns.
+    """
+    at = [t.column("component").to_numpy() for t in (left, right)]
+    sets = [t.column("set").combine_chunks() for t in (left, right)]
+    values = [x.flatten().to_numpy() for x in sets]
+    sizes = [np.diff(x.offsets.to_numpy()) for x in sets]
+    shared = np.intersect1d(values[0], values[1])
     cells = []
     for v, n in zip(values, sizes, strict=True):
         column = np.searchsorted(shared, v)
@@ -163,100 +215,151 @@ def compared(left: pa.Table, right: pa.Table, percent: int) -> pa.Table:
         order = np.argsort(column, kind="stable")
         cells.append((row[order], column[order]))
     both = np.zeros((len(sizes[0]), len(sizes[1])), np.float32)
-    for at in range(0, len(shared), COLUMNS):
-        parts = []
+    for start in range(0, len(shared), COLUMNS):
+        width, parts = min(COLUMNS, len(shared) - start), []
         for (row, column), n in zip(cells, sizes, strict=True):
-            a, b = np.searchsorted(column, [at, at + COLUMNS])
-            dense = np.zeros((len(n), COLUMNS), np.float32)
-            dense[row[a:b], column[a:b] - at] = 1
+            a, b = np.searchsorted(column, [start, start + width])
+            dense = np.zeros((len(n), width), np.float32)
+            dense[row[a:b], column[a:b] - start] = 1
             parts.append(dense)
         both += parts[0] @ parts[1].T
     union = sizes[0][:, None] + sizes[1][None, :] - both
-    linked = (100 * both >= percent * union) & (sides[0][1][:, None] != sides[1][1][None, :])
-    found = [sorted((sides[0][0][i], sides[1][0][j])) for i, j in zip(*np.nonzero(linked), strict=True)]
-    return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
+    linked = (100 * both >= percent * union) & (at[0][:, None] != at[1][None, :])
+    i, j = np.nonzero(linked)
+    found = forest(np.unique(np.stack([np.maximum(at[0][i], at[1][j]), np.minimum(at[0][i], at[1][j])], 1), axis=0))
+    return pa.table({"id": pa.array([x for x, _ in found], pa.int64()), "to": pa.array([y for _, y in found], pa.int64())})
+
+
+def forest(edges: np.ndarray) -> list[tuple[int, int]]:
+    """The edges that join what those before them have not."""
+    parent: dict[int, int] = {}
 
+    def root(x: int) -> int:
+        while parent.setdefault(x, x) != x:
+            parent[x] = x = parent[parent[x]]
+        return x
 
-def blockwise(docs: DataFrame, rest: DataFrame, size: int, percent: int) -> DataFrame:
-    """Links (a, b) between different components among members (bucket, id, component, n_shingles) that share buckets.
+    kept = []
+    for x, y in edges.tolist():
+        a, b = root(x), root(y)
+        if a != b:
+            parent[max(a, b)] = min(a, b)
+            kept.append((x, y))
+    return kept
 
-    Members that buckets connect form clusters. Of a cluster only the members outside its largest component are held
-    against all; both sides are dealt into blocks of bounded size, and each pair of blocks is one group.
+
+def blockwise(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links (id, to) between components among the rows of ``opened`` buckets, by exhaustive comparison.
+
+    A cluster is what buckets connect. Its classes are banded by size, neighbouring bands alone can hold similar sets. Of a
+    cluster only the classes outside its largest component are held against all; both sides are dealt into blocks of bounded
+    size, and each pair of blocks is one group.
     """
-    star = rest.join(rest.groupBy("bucket").agg(F.min("id").alias("a")), "bucket").select("a", F.col("id").alias("b"))
-    cluster = components(star).withColumnRenamed("component", "cluster")
-    member = rest.select("id", "component", "n_shingles").distinct().join(cluster, "id", "left").withColumn("cluster", F.coalesce("cluster", "id"))
-    member = common.written(member, "clusters")
-    largest = member.groupBy("cluster", "component").agg(F.count("*").alias("n")).groupBy("cluster").agg(F.max_by("component", F.struct("n", "component")).alias("largest"))
-    member = common.written(member.join(largest, "cluster").withColumn("outside", F.col("component") != F.col("largest")), "members")
-
-    def blocks(rows: DataFrame, name: str) -> DataFrame:
-        return rows.groupBy("cluster").agg(F.greatest(F.ceil(F.count("*") / BLOCK_ROWS), F.ceil(F.sum("n_shingles") / BLOCK_SHINGLES), F.lit(1)).cast("int").alias(name))
-
-    n = blocks(member.filter("outside"), "n_left").join(blocks(member, "n_right"), "cluster")
-    ids = member.join(n, "cluster", "left_semi").select(F.col("id").alias("doc_id")).distinct()
-    sets = common.written(shingle_sets(with_ids(docs.select("doc_id", "text"), common.written(ids, "ids"), "left_semi"), size), "sets")
-    rows = member.join(n, "cluster").join(sets.withColumnRenamed("doc_id", "id"), "id").select("cluster", "id", F.col("component").cast("long"), "set", "outside", "n_left", "n_right")
+    near = rows.filter("component <> c.component").select(F.col("component").alias("id"), F.col("c.component").alias("to"), "salts")
+    cluster = hooked(near).select(F.col("id").alias("component"), F.col("component").alias("cluster"))
+    each = rows.groupBy("id", "component", "n_shingles").agg(F.max("salts").alias("salts"))
+    each = common.written(spread(each, cluster, "component", "left").withColumn("cluster", F.coalesce("cluster", "component")), "clusters")
+    count = each.groupBy("cluster", "component").agg(F.count("*").alias("n"), F.max("salts").alias("salts"))
+    largest = count.groupBy("cluster").agg(F.max(F.struct("n", "component"))["component"].alias("largest"), F.sum("n").alias("n"))
+    each = each.withColumn("salts", F.greatest("salts", F.lit(8)))
+    level = F.floor(F.log(F.col("n_shingles")) / F.log(F.lit(100 / percent + 1e-9)))
+    member = spread(each, largest, "cluster").withColumn("outside", F.col("component") != F.col("largest")).withColumn("level", level.cast("int"))
+    member = common.written(member.select("id", "component", "cluster", "n_shingles", "outside", "level"), "members")
+
+    def blocks(some: DataFrame, name: str) -> DataFrame:
+        return some.groupBy("cluster", "level").agg(F.greatest(F.ceil(F.count("*") / BLOCK_ROWS), F.ceil(F.sum("n_shingles") / BLOCK_SHINGLES), F.lit(1)).cast("int").alias(name))
+
+    wide = member.withColumn("level", F.explode(F.array(F.col("level") - 1, F.col("level"), F.col("level") + 1)))
+    n = common.written(blocks(member.filter("outside"), "n_left").join(blocks(wide, "n_right"), ["cluster", "level"]), "blocks")
     own = lambda name: F.pmod(F.xxhash64("id", F.lit(name)), F.col(name)).cast("int")
     every = lambda name: F.explode(F.sequence(F.lit(0), F.col(name) - 1))
-    left = rows.filter("outside").select("cluster", "id", "component", "set", own("n_left").alias("i"), every("n_right").alias("j"))
-    fresh = [F.col(c).alias(c) for c in ("cluster", "id", "component", "set")]  # else the two sides share column ids
-    right = rows.select(*fresh, every("n_left").alias("i"), own("n_right").alias("j"))
-    key = ["cluster", "i", "j"]
-    return left.groupBy(*key).cogroup(right.groupBy(*key)).applyInArrow(lambda a, b: compared(a, b, percent), "a long, b long").distinct()
+    key = ["cluster", "level", "i", "j"]
+    left = member.filter("outside").join(n, ["cluster", "level"]).join(sets, "id").select("cluster", "level", "component", "set", own("n_left").alias("i"), every("n_right").alias("j"))
+    right = wide.join(n, ["cluster", "level"]).join(sets, "id").select("cluster", "level", "component", "set", every("n_left").alias("i"), own("n_right").alias("j"))
+    right = right.select(*[F.col(c).alias(c) for c in right.columns])  # else the two sides share column ids
+    return left.groupBy(*key).cogroup(right.groupBy(*key)).applyInArrow(lambda a, b: compared(a, b, percent), "id long, to long")
+
+
+def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (id, centre, salts, ...) whose full sets (id, set) are similar enough; the member's set travels."""
+    own = pairs.join(sets.withColumnRenamed("set", "__own"), "id")
+    both = spread(own, sets.select(F.col("id").alias("centre"), F.col("set").alias("__other")), "centre", widths=pairs)
+    shared = F.size(F.array_intersect("__own", "__other"))
+    return both.filter(100 * shared >= percent * (F.size("__own") + F.size("__other") - shared)).drop("__own", "__other")
 
 
 def duplicates(docs: DataFrame, size: int = SHINGLE, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS, stars: int = STARS) -> DataFrame:
     """doc_id, n_shingles, component_id (least doc_id reachable), kept; one row per row of docs."""
-    every = common.written(profiles(docs, size, bands, rows), "profiles")
     key = ["n_shingles", "f1", "f2"]
+    every = common.written(profiles(docs, size, bands, rows), "profiles")
     classes = every.filter("n_shingles > 0 and doc_id is not null").groupBy(*key).agg(F.min("doc_id").alias("rep"))
-    classes = common.written(classes, "classes")
+    classes = common.written(classes.withColumn("id", F.monotonically_increasing_id()), "classes")
     # A class's buckets come from its representative's row; equal sets have equal buckets.
-    reps = every.join(classes.select(*key, F.col("rep").alias("doc_id")), [*key, "doc_id"], "left_semi").dropDuplicates(["doc_id", *key])
-    member = reps.select(F.explode("buckets").alias("bucket"), F.col("doc_id").alias("id"), "n_shingles")
-    shared = member.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1").select("bucket")
+    reps = every.join(classes.withColumnRenamed("rep", "doc_id"), [*key, "doc_id"]).dropDuplicates(["id"])
+    member = reps.select(F.explode("buckets").alias("bucket"), "id", "n_shingles")
+    shared = member.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1").select("bucket", F.ceil(F.col("n") / SALT_ROWS).cast("int").alias("salts"))
     active = common.written(member.join(shared, "bucket"), "members")
-    tested = links = None
-    labels = None
+    ids = common.written(active.select("id").distinct().join(classes, "id"), "ids")
+    sets = common.written(class_sets(docs, ids, size), "sets")
+    labels = tested = None
     for turn in range(stars + 1):
-        if labels is None:
-            at = active.withColumn("component", F.col("id"))
-        else:
-            at = active.join(labels, "id", "left").withColumn("component", F.coalesce("component", "id"))
-        # the centre: the least member at first, then one of the last component, which the earlier centres have not reached
-        order = F.struct((F.lit(0).cast("long") if labels is None else -F.col("component")).alias("x"), F.col("id").alias("centre"), F.col("n_shingles").alias("cn"), F.col("component").alias("at"))
-        centre = at.groupBy("bucket").agg(F.min(order).alias("c"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi")
-        joined = common.written(at.join(centre.select("bucket", "c.centre", "c.cn", "c.at"), "bucket"), "bucketed")
-        if joined.isEmpty():
+        now = opened(active, labels, turn)
+        if now.isEmpty():
             break
         if turn == stars:
-            more = blockwise(docs, joined.select("bucket", "id", "component", "n_shingles"), size, percent)
+            links = common.written(blockwise(now, sets, percent).withColumn("salts", F.lit(1)), "links")
         else:
-            enough = 100 * F.least("n_shingles", "cn") >= percent * F.greatest("n_shingles", "cn")
-            # the smaller id is the centre of most stars, so ``a`` is the side that repeats
-            pairs = joined.filter(F.expr("component <> at") & enough).select(F.least("id", "centre").alias("a"), F.greatest("id", "centre").alias("b")).distinct()
-            if tested is not None:
-                pairs = pairs.join(tested, ["a", "b"], "left_anti")
-            pairs = common.written(pairs, "pairs")
-            tested = pairs if tested is None else tested.unionByName(pairs)
-            more = confirmed(docs, pairs, size, percent)
-            # a centre has been tested against its whole bucket
-            active = joined.filter("id <> centre").select("bucket", "id", "n_shingles")
-        more = common.written(more, "links")
-        if not more.isEmpty():
-            links = more if links is None else links.unionByName(more)
-            labels = components(links)
-    out = every.join(classes, key, "left")
+            active = now.select("bucket", "id", "n_shingles", "salts")
+            pairs = common.written(one_each(now, tested, percent), "pairs")
+            tested = pairs.select("id", "centre") if tested is None else tested.unionByName(pairs.select("id", "centre"))
+            links = common.written(confirmed(pairs, sets, percent).select(F.col("component").alias("id"), "to", "salts"), "links")
+        if not links.isEmpty():
+            labels = relabelled(labels, hooked(links), links)
+    least = F.col("rep")
     if labels is not None:
-        out = out.join(labels.withColumnRenamed("id", "rep"), "rep", "left")
-    else:
-        out = out.withColumn("component", F.col("rep"))
-    component = F.coalesce("component", "rep", "doc_id")
+        # a component's own class, its smallest, is not in labels
+        labels = labels.unionByName(labels.groupBy("component").agg(F.max("salts").alias("salts")).select(F.col("component").alias("id"), "component", "salts"))
+        ends = labels.join(classes.select("id", "rep"), "id").groupBy("component").agg(F.min("rep").alias("least"))
+        classes = classes.join(spread(labels, ends, "component").select("id", "least"), "id", "left")
+        least = F.coalesce("least", "rep")
+    out = every.join(classes.select(*key, least.alias("component_id")), key, "left")
+    component = F.coalesce("component_id", "doc_id")
     kept = F.coalesce(F.col("doc_id") == component, component.isNull())
     return out.select("doc_id", "n_shingles", component.alias("component_id"), kept.alias("kept"))
 
 
+def one_each(rows: DataFrame, tested: DataFrame | None, percent: int) -> DataFrame:
+    """(id, centre, salts, component, to): for each class the centre that most of its buckets propose, of those not tested."""
+    fits = 100 * F.least("n_shingles", "c.n_shingles") >= percent * F.greatest("n_shingles", "c.n_shingles")
+    offers = rows.filter(F.expr("component <> c.component") & fits).groupBy("id", F.col("c.id").alias("centre"), "component", F.col("c.component").alias("to")).agg(F.count("*").alias("n"), F.max("salts").alias("salts"))
+    if tested is not None:
+        offers = offers.join(tested, ["id", "centre"], "left_anti")
+    best = F.max(F.struct("n", (-F.col("centre")).alias("__order"), "centre", "salts", "component", "to")).alias("p")
+    return offers.groupBy("id").agg(best).select("id", "p.centre", "p.salts", "p.component", "p.to")
+
+
+def class_sets(docs: DataFrame, ids: DataFrame, size: int) -> DataFrame:
+    """(id, set) of the classes in ids, from their representatives' texts."""
+
+    def make():
+        return lambda sets, sizes, values: sets
+
+    some = with_ids(docs.select("doc_id", "text"), ids.select(F.col("rep").alias("doc_id")).distinct(), "left_semi")
+    found = fingerprints(some, size, "set array<long>", make)
+    return found.join(ids.withColumnRenamed("rep", "doc_id"), ["doc_id", "n_shingles", "f1", "f2"]).select("id", "set").dropDuplicates(["id"])
+
+
+def opened(active: DataFrame, labels: DataFrame | None, turn: int) -> DataFrame:
+    """Rows of the buckets that hold more than one component, with their component and the bucket's centre as ``c``.
+
+    The centre is a member of the least component; which one changes with the turn.
+    """
+    at = active.withColumn("component", F.col("id")) if labels is None else active.join(labels.select("id", "component"), "id", "left").withColumn("component", F.coalesce("component", "id"))
+    place = F.struct("component", F.xxhash64("id", F.lit(turn)).alias("__draw"), "id", "n_shingles")
+    centre = at.groupBy("bucket").agg(F.min(place).alias("c"), F.max("component").alias("__most")).filter("c.component <> __most").drop("__most")
+    return common.written(spread(at, centre, "bucket"), "open")
+
+
 def numbered(docs: DataFrame) -> DataFrame:
     """The rows as __row and their text, with numbers of their own as doc_id in the order of the old ones, nulls last.
 
