@@ -3,6 +3,9 @@
 Each rule looks at one measure of a text and votes bad (-1), good (+1) or abstains (0). No rule is trusted as such:
 expectation-maximisation over the counts of vote patterns (at most 3 to the number of rules, whatever the corpus) estimates
 how often each rule votes what on good and on bad texts, and a text's posterior probability of being good decides.
+Priors of stated weight keep one frequent kind of bad text from turning the rules that it passes into evidence for all
+others. What overrules them is how a rule's bad votes fall: if they are as frequent where other rules object as where none
+does, the rule says nothing about quality, and its rate is taken for false alarms.
 
 Null and empty texts have no words and fail the base rules. Very long texts are measured whole, in n log n. Repeated rows
 are judged alike, extra columns are ignored, an empty table gives an empty result.
@@ -32,8 +35,12 @@ RULES: list[tuple[str, str, str, str]] = [
     ("variety", "n_distinct / sqrt(n_words)", "< 2.0", "> 3.0"),
 ]
 
-#: At most so many good texts get a rule's bad vote; at least so many bad texts get its good vote.
-BAD_ON_GOOD, GOOD_ON_BAD = 0.002, 0.6
+#: Priors: the share of bad texts, and of good ones, that get a rule's bad vote. Abstentions say nothing by themselves.
+BAD_ON_BAD, BAD_ON_GOOD = 0.15, 0.001
+#: Their weights, in corpora: what a class of texts has seen of a rule counts beside so many times all texts.
+WEIGHT_BAD, WEIGHT_GOOD = 0.1, 20.0
+#: How likely a rule is to err at random, before its votes are seen.
+RANDOM_RULE = 0.05
 
 
 def bound(value: Column, body) -> Column:
@@ -123,42 +130,58 @@ def unpack(code: int) -> list[int]:
     return out[::-1]
 
 
+def false_alarms(patterns: list[tuple[list[int], int]]) -> list[float]:
+    """For each rule the share of good texts that it votes bad on, as far as its votes are independent of the others'.
+
+    A rule that errs at random votes bad as often on the texts that another rule objects to as elsewhere, whichever the other
+    is. One that means something has next to no bad votes there (another kind of bad text), any number (it confirms the
+    other), or as many as elsewhere only if the other errs at random. The posterior probability of the first case, times the
+    rule's rate, is what its false alarms come to.
+    """
+    out, rules = [], range(len(RULES))
+    total = sum(n for _, n in patterns)
+    bad = [sum(n for p, n in patterns if p[r] == 0) for r in rules]
+    for r in rules:
+        rate = min(0.999, max(BAD_ON_GOOD, bad[r] / max(1, total)))
+        random, useful = math.log(RANDOM_RULE), math.log(1 - RANDOM_RULE)
+        for texts, both in ((bad[k], sum(n for p, n in patterns if p[k] == p[r] == 0)) for k in rules if k != r):
+            ways = math.lgamma(texts + 1) - math.lgamma(both + 1) - math.lgamma(texts - both + 1)
+            chance, none = (ways + both * math.log(x) + (texts - both) * math.log1p(-x) for x in (rate, BAD_ON_GOOD))
+            cases = [chance, none, -math.log(texts + 1)]
+            random += chance
+            useful += max(cases) + math.log(sum(math.exp(c - max(cases)) for c in cases) / 3)
+        out.append(max(BAD_ON_GOOD, rate / (1 + math.exp(min(700.0, useful - random)))))
+    return out
+
+
 def fit(counts: dict[int, int], rounds: int = 60) -> tuple[float, list[list[list[float]]]]:
     """(share of good texts, table[rule][class][vote]) by expectation-maximisation over pattern counts; class 1 is good.
 
-    It starts from the rules' meaning: a pattern with a bad vote is likely bad. A pseudo-count keeps rates off 0 and 1.
+    It starts from the rules' meaning: a pattern with a bad vote is likely bad. The priors are pseudo-counts in proportion to
+    the corpus, so that the verdicts don't depend on its size.
     """
     patterns = [(unpack(c), n) for c, n in sorted(counts.items())]
+    total = sum(n for _, n in patterns) + 1
+    alarms = false_alarms(patterns)
+    abstained = [(sum(n for p, n in patterns if p[r] == 1) + 0.2) / (sum(n for p, n in patterns if p[r] != 0) + 1) for r in range(len(RULES))]
     good = [0.1 if 0 in p else 0.95 for p, _ in patterns]
     share, table = 0.5, []
     for _ in range(rounds):
-        total = sum(n for _, n in patterns)
-        weight = [sum(n * (1 - g) for g, (_, n) in zip(good, patterns, strict=True)), sum(n * g for g, (_, n) in zip(good, patterns, strict=True))]
-        share = min(0.99, max(0.01, (weight[1] + 1) / (total + 2)))
+        weight = sum(n * g for g, (_, n) in zip(good, patterns, strict=True))
+        share = min(0.99, max(0.01, (weight + 1) / (total + 1)))
         table = []
         for r in range(len(RULES)):
             rates = []
-            for c in (0, 1):
-                # a good text seldom gets a bad vote, a bad one is as likely to get any: the prior pseudo-counts
-                prior = [2.0, 2.0, 2.0] if c == 0 else [0.1, 2.0, 8.0]
-                seen = [prior[v] + sum(n * (g if c else 1 - g) for g, (p, n) in zip(good, patterns, strict=True) if p[r] == v) for v in (0, 1, 2)]
-                rates.append(held([x / sum(seen) for x in seen], c))
+            for c, (prior, size) in enumerate(((BAD_ON_BAD, WEIGHT_BAD * total), (alarms[r], WEIGHT_GOOD * total))):
+                own = [sum(n * (g if c else 1 - g) for g, (p, n) in zip(good, patterns, strict=True) if p[r] == v) for v in (0, 1, 2)]
+                bad = (size * prior + own[0]) / (size + sum(own))
+                rest = (size * abstained[r] + own[1]) / (size + own[1] + own[2])
+                rates.append([bad, (1 - bad) * rest, (1 - bad) * (1 - rest)])
             table.append(rates)
         good = [posterior(p, share, table) for p, _ in patterns]
     return share, table
 
 
-def held(rates: list[float], c: int) -> list[float]:
-    """Rates within what the rules are made for: good texts hardly ever get a bad vote, bad ones pass most rules.
-
-    Without it, one frequent kind of bad text would turn the rules that it passes into evidence for all others.
-    """
-    if c:
-        rates[0] = min(rates[0], BAD_ON_GOOD)
-    rates[2] = max(rates[2], GOOD_ON_BAD)
-    return [x / sum(rates) for x in rates]
-
-
 def posterior(pattern: list[int], share: float, table: list[list[list[float]]]) -> float:
     z = math.log(share / (1 - share)) + sum(math.log(table[r][1][v] / table[r][0][v]) for r, v in enumerate(pattern))
     return 1 / (1 + math.exp(-max(-50.0, min(50.0, z))))
