@@ -33,8 +33,9 @@ def slot(label: Column, weight: Column) -> Column:
     return F.struct(label.cast("long").alias("label"), weight.cast("double").alias("weight"))
 
 
-def mg_accumulate(sketch: Column, label: Column, weight: Column, k: int, overflow: str = "residual") -> Column:
-    """The sketch with one more pair in it."""
+def mg_accumulate(sketch: Column, label: Column, weight: Column, k: int, overflow: str = "residual", slot_pick: str = "last") -> Column:
+    """The sketch with one more pair in it. ``slot_pick``: a new pair takes the last or the first free slot; the labels and
+    weights are the same."""
     lowered = lambda by: F.transform(sketch, lambda e: slot(e["label"], e["weight"] - by))
     if overflow == "residual":
         least = F.array_min(F.transform(sketch, lambda e: e["weight"]))
@@ -48,12 +49,12 @@ def mg_accumulate(sketch: Column, label: Column, weight: Column, k: int, overflo
         raise ValueError(overflow)
     added = F.transform(sketch, lambda e: slot(e["label"], F.when(e["label"] == label, e["weight"] + weight).otherwise(e["weight"])))
     kept = added if overflow != "as_described" else F.filter(added, lambda e: e["weight"] != 0)
-    return F.when(F.exists(sketch, lambda e: e["label"] == label), kept).when(F.size(sketch) < k, F.concat(sketch, F.array(slot(label, weight)))).otherwise(full)
+    return F.when(F.exists(sketch, lambda e: e["label"] == label), kept).when(F.size(sketch) < k, F.concat(*([sketch, F.array(slot(label, weight))] if slot_pick == "last" else [F.array(slot(label, weight)), sketch]))).otherwise(full)
 
 
-def mg_fold(pairs: Column, k: int, overflow: str = "residual") -> Column:
+def mg_fold(pairs: Column, k: int, overflow: str = "residual", slot_pick: str = "last") -> Column:
     """Sketch of an array of structs with label and weight, in the array's order."""
-    return F.aggregate(pairs, F.expr(EMPTY), lambda s, x: mg_accumulate(s, x["label"], x["weight"], k, overflow))
+    return F.aggregate(pairs, F.expr(EMPTY), lambda s, x: mg_accumulate(s, x["label"], x["weight"], k, overflow, slot_pick))
 
 
 def mg_merge(sketches: Column, k: int, overflow: str = "residual") -> Column:
@@ -104,6 +105,27 @@ class Sketch:
         else:
             self.slots = {x: w - weight for x, w in slots.items() if w != weight}
 
+    def fold(self, labels: list[int], weights: list[float]) -> None:
+        """``add`` for many pairs, with the common cases of the default rule spelt out."""
+        if self.overflow != "residual":
+            for x, w in zip(labels, weights, strict=True):
+                self.add(x, w)
+            return
+        slots, k = self.slots, self.k
+        for x, w in zip(labels, weights, strict=True):
+            if x in slots:
+                slots[x] += w
+            elif len(slots) < k:
+                slots[x] = w
+            else:
+                by = min(slots.values())
+                if w <= by:
+                    slots = {y: v - w for y, v in slots.items() if v > w}
+                else:
+                    slots = {y: v - by for y, v in slots.items() if v > by}
+                    slots[x] = w - by
+        self.slots = slots
+
     def top(self) -> int | None:
         above = [(-w, x) for x, w in self.slots.items() if w > 0]
         return min(above)[1] if above else None
@@ -126,9 +148,19 @@ class Vote:
 
 
 def register(spark: SparkSession) -> None:
-    """SQL surface: mg_top_label(sketch), vote_label(array) and the table function heavy_hitters(table, k)."""
+    """SQL surface: mg_sketch(array, k), mg_merge_sketches(array of sketches, k), mg_top_label(sketch), vote_label(array) and
+    the table function heavy_hitters(table, k)."""
     from pyspark.sql.functions import udtf
 
+    slots, one = "ARRAY<STRUCT<label: BIGINT, weight: DOUBLE>>", "named_struct('label', x.label, 'weight', x.weight)"
+    least = "array_min(transform(a, e -> e.weight))"
+    folded = (
+        f"aggregate(s, cast(array() as {slots}), (a, x) -> CASE WHEN exists(a, e -> e.label = x.label) THEN transform(a, e -> named_struct('label', e.label, 'weight', CASE WHEN e.label = x.label THEN e.weight + x.weight ELSE e.weight END)) "
+        f"WHEN size(a) < k THEN concat(a, array({one})) ELSE concat(filter(transform(a, e -> named_struct('label', e.label, 'weight', e.weight - least(x.weight, {least}))), e -> e.weight > 0), "
+        f"filter(array(named_struct('label', x.label, 'weight', x.weight - least(x.weight, {least}))), e -> e.weight > 0)) END)"
+    )
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION mg_sketch(s {slots}, k INT) RETURNS {slots} RETURN {folded}")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION mg_merge_sketches(p ARRAY<{slots}>, k INT) RETURNS {slots} RETURN mg_sketch(flatten(p), k)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION mg_top_label(s ARRAY<STRUCT<label: BIGINT, weight: DOUBLE>>) RETURNS BIGINT RETURN -(array_max(transform(filter(s, e -> e.weight > 0), e -> named_struct('weight', e.weight, 'minus', -e.label))).minus)")
     spark.sql(
         "CREATE OR REPLACE TEMPORARY FUNCTION vote_label(s ARRAY<STRUCT<label: BIGINT, weight: DOUBLE>>) RETURNS BIGINT RETURN aggregate(s, named_struct('label', cast(null as bigint), 'weight', 0D), "

@@ -9,6 +9,8 @@ from ..store import written
 
 #: Degree from which a vertex is a hub, and the number of subsets of a hub's neighbours.
 HUB_DEGREE, HUB_CHUNKS = 128, 32
+#: Neighbours of a hub's chunk at most; a vertex with more than HUB_CHUNKS times as many has more chunks.
+CHUNK_ROWS = 4096
 
 
 def with_unit_weights(edges: DataFrame) -> DataFrame:
@@ -67,13 +69,15 @@ def split_by_degree(edges: DataFrame, threshold: int = HUB_DEGREE) -> tuple[Data
 
 
 def scan_positions(edges: DataFrame, hub_degree: int = HUB_DEGREE, chunks: int = HUB_CHUNKS) -> DataFrame:
-    """dst, src, weight, ord, chunk: neighbours numbered by ascending id; a hub's are dealt into chunks by that number.
+    """dst, src, weight, ord, chunk, hub: neighbours numbered by ascending id; a hub's are dealt into chunks by that number.
 
     Chunks never come from a physical partition, so labels don't depend on the cluster.
     """
     w = Window.partitionBy("dst")
     placed = drop_self_loops(edges).select("dst", "src", "weight", (F.row_number().over(w.orderBy("src")) - 1).alias("ord"), F.count("*").over(w).alias("degree"))
-    return placed.select("dst", "src", "weight", "ord", F.when(F.col("degree") >= hub_degree, F.pmod("ord", F.lit(chunks))).otherwise(0).cast("int").alias("chunk"))
+    dealt = F.pmod(F.col("ord"), F.greatest(F.lit(chunks), F.ceil(F.col("degree") / CHUNK_ROWS)))
+    hub = F.col("degree") >= hub_degree
+    return placed.select("dst", "src", "weight", "ord", F.when(hub, dealt).otherwise(0).cast("int").alias("chunk"), hub.alias("hub"))
 
 
 def dense_ids(df: DataFrame, column: str, id_name: str = "dense_id") -> DataFrame:
@@ -133,6 +137,16 @@ def validate(edges: DataFrame) -> DataFrame:
     )
 
 
+def load_graph(spark, table: str) -> DataFrame:
+    """A graph that ``save_graph`` wrote, with its buckets."""
+    return spark.table(table).select("src", "dst", "weight")
+
+
+def active_edges(edges: DataFrame, frontier: DataFrame) -> DataFrame:
+    """Edges into the vertices of frontier(id)."""
+    return edges.join(frontier.select(F.col("id").alias("dst")), "dst", "left_semi")
+
+
 def save_graph(edges: DataFrame, table: str, buckets: int) -> None:
     """Bucketed and sorted by dst, so that folds and label joins on dst need no shuffle."""
     edges.write.mode("overwrite").bucketBy(buckets, "dst").sortBy("dst", "src").saveAsTable(table)

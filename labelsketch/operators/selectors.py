@@ -78,6 +78,7 @@ class HeavyHitter:
     scan: str = "single"
     consolidation: str = "partial"
     engine: str = "expr"
+    slot_pick: str = "last"
 
     @staticmethod
     def headline() -> HeavyHitter:
@@ -90,16 +91,11 @@ class HeavyHitter:
         if self.engine == "arrow":
             k, rule = self.k, self.overflow
             return arrow_fold(pairs, lambda: S.Sketch(k, rule), lambda s: {"slots": [{"label": x, "weight": w} for x, w in s.slots.items()]}, "dst long, chunk int, slots array<struct<label:bigint,weight:double>>")
-        return ordered(pairs).select("dst", "chunk", S.of_column(S.mg_fold, "pairs", self.k, self.overflow).alias("slots"))
+        return ordered(pairs).select("dst", "chunk", S.of_column(S.mg_fold, "pairs", self.k, self.overflow, self.slot_pick).alias("slots"))
 
     def sketch(self, pairs: DataFrame) -> DataFrame:
         """dst, slots: chunks merged."""
-        parts = self.partial(pairs)
-        if self.merge == "replay":
-            by_chunk = F.transform(F.array_sort(F.collect_list(F.struct("chunk", "slots"))), lambda x: x["slots"])
-            whole = parts.groupBy("dst").agg(by_chunk.alias("s"))
-            return whole.select("dst", F.when(F.size("s") == 1, F.get("s", 0)).otherwise(S.of_column(S.mg_merge, "s", self.k, self.overflow)).alias("slots"))
-        return subtracted(parts, self.k)
+        return merged(self.partial(pairs), self)
 
     def candidates(self, pairs: DataFrame) -> DataFrame:
         whole = self.sketch(pairs)
@@ -109,6 +105,15 @@ class HeavyHitter:
         return heaviest(linking_weights(pairs.join(survivors, ["dst", "label"], "left_semi")))
 
 
+def merged(parts: DataFrame, selector: HeavyHitter) -> DataFrame:
+    """dst, slots from dst, chunk, slots, by the selector's merge."""
+    if selector.merge == "subtract":
+        return subtracted(parts, selector.k)
+    by_chunk = F.transform(F.array_sort(F.collect_list(F.struct("chunk", "slots"))), lambda x: x["slots"])
+    whole = parts.groupBy("dst").agg(by_chunk.alias("s"))
+    return whole.select("dst", F.when(F.size("s") == 1, F.get("s", 0)).otherwise(S.of_column(S.mg_merge, "s", selector.k, selector.overflow)).alias("slots"))
+
+
 def subtracted(parts: DataFrame, k: int) -> DataFrame:
     """Merge that no order can change: sums per label, less the (k+1)-th largest, positive ones kept."""
     sums = parts.select("dst", F.explode("slots").alias("s")).groupBy("dst", F.col("s.label").alias("label")).agg(F.sum("s.weight").alias("weight"))
@@ -135,7 +140,10 @@ class MajorityVote:
         return voted.select("dst", "chunk", "v.label", "v.weight").filter("weight > 0")
 
     def candidates(self, pairs: DataFrame) -> DataFrame:
-        states = self.partial(pairs)
+        return self.combined(self.partial(pairs))
+
+    def combined(self, states: DataFrame) -> DataFrame:
+        """id, candidate from the chunks' states."""
         if self.combine == "max":
             return heaviest(states)
         sums = states.groupBy("dst", "label").agg(F.sum("weight").alias("weight"))

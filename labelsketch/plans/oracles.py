@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from ..operators.graph import HUB_CHUNKS, HUB_DEGREE
+from ..operators.graph import CHUNK_ROWS, HUB_CHUNKS, HUB_DEGREE
+from ..operators.local import mix_sql
 from ..operators.propagate import LPConfig
 from ..operators.selectors import Exact, HeavyHitter, MajorityVote
 from .queries import LP_RUNS, SPREAD
@@ -31,7 +32,7 @@ def edges(name: str) -> str:
     return f"{ctes}, one AS (SELECT least(src, dst) AS a, greatest(src, dst) AS b, CAST({how}(weight) AS DOUBLE) AS w FROM p GROUP BY 1, 2), edges AS MATERIALIZED (SELECT CAST(a AS BIGINT) AS src, CAST(b AS BIGINT) AS dst, w AS weight FROM one UNION ALL SELECT CAST(b AS BIGINT), CAST(a AS BIGINT), w FROM one WHERE a <> b)"
 
 
-PREPARED = f"prep AS MATERIALIZED (SELECT dst, src, weight, ord, CASE WHEN deg >= {HUB_DEGREE} THEN ord % {HUB_CHUNKS} ELSE 0 END AS chunk FROM (SELECT dst, src, weight, row_number() OVER (PARTITION BY dst ORDER BY src) - 1 AS ord, count(*) OVER (PARTITION BY dst) AS deg FROM edges WHERE src <> dst))"
+PREPARED = f"prep AS MATERIALIZED (SELECT dst, src, weight, ord, CASE WHEN deg >= {HUB_DEGREE} THEN ord % greatest({HUB_CHUNKS}, CAST(ceil(deg / {CHUNK_ROWS}.0) AS BIGINT)) ELSE 0 END AS chunk FROM (SELECT dst, src, weight, row_number() OVER (PARTITION BY dst ORDER BY src) - 1 AS ord, count(*) OVER (PARTITION BY dst) AS deg FROM edges WHERE src <> dst))"
 
 
 def mg(pairs: str, k: int, overflow: str) -> str:
@@ -95,7 +96,7 @@ def unrolled(name: str, config: LPConfig, last: int | None = None) -> tuple[str,
     for t in range(last or config.stop.max_iterations):
         for j in range(b):
             n += 1
-            own = f" WHERE dst % {b} = {j}" if b > 1 else ""
+            own = f" WHERE {mix_sql('dst', b)} = {j}" if b > 1 else ""
             ctes += f", pairs{n} AS MATERIALIZED (SELECT dst, chunk, ord, label, weight FROM prep JOIN {now} ON src = id{own}), {candidates(config.selector, f'pairs{n}', str(n))}"
             rule = "candidate < label" if config.pick_less.applies(t) else "candidate <> label"
             ctes += f", labels{n} AS MATERIALIZED (SELECT id, CASE WHEN {rule} THEN candidate ELSE label END AS label FROM {now} LEFT JOIN cand{n} USING (id))"

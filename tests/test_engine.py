@@ -11,6 +11,7 @@ import sys
 import pytest
 from labelsketch.operators import baselines, communities, graph, metrics
 from labelsketch.operators.builders import BUILDERS, toy
+from labelsketch.operators.local import mix
 from labelsketch.operators.propagate import LPConfig, PickLess, Stop, label_propagation, sweep_slots, tune
 from labelsketch.operators.selectors import Exact, HeavyHitter, MajorityVote
 from labelsketch.plans import oracles, planner
@@ -119,7 +120,7 @@ def brute_force(edges, batches, period, iterations, tolerance):
         less, changed = bool(period) and t % period == 0, 0
         for j in range(batches):
             moves = {}
-            for v in (v for v in near if v % batches == j):
+            for v in (v for v in near if mix(v, batches) == j):
                 sums = {}
                 for u, w in near[v]:
                     sums[at[u]] = sums.get(at[u], 0) + w
