@@ -67,3 +67,8 @@ def op10_token_count(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = (op1_language_id, op2_html_text, op3_quality, op4_decontamination, op5_personal_data, op6_sharding, op7_near_duplicates, op8_toxicity, op9_packing, op10_token_count)
     return {f.__name__: f for f in found}
+
+
+def oracle_sql() -> dict[str, str]:
+    """The queries that SQL can express; the others need hash functions, models, tokenizers or transducers."""
+    return {"op4_decontamination": decontaminate.SQL}
