@@ -59,14 +59,23 @@ def slices(batch: pa.RecordBatch, inputs: list[str], most: int = 16 << 20) -> It
         yield batch.slice(at, step)
 
 
+#: Labels up to which their counts are broadcast.
+BROADCAST_LABELS = 100_000
+
+
+def hash_bound(n: Column, per_label: int) -> Column:
+    """The 64-bit hash up to which rows are taken so that about ``per_label`` of n rows are, whatever n is."""
+    some = F.lit(-(2.0**63)) + F.lit(float(per_label)) / n * F.lit(2.0**64)
+    return F.when(n <= per_label, F.lit(2**63 - 1)).otherwise(some.cast("long"))
+
+
 def label_sample(rows: DataFrame, label: str, per_label: int, seed: str) -> DataFrame:
     """About ``per_label`` rows of each label value, chosen by a hash of doc_id; a documented bound for training only.
 
-    The labels are counted first (few values), then each is thinned by its own fraction.
+    The labels are counted first, then each is thinned by a bound of its own on the full hash; there is no most or least count.
     """
-    counts = {r[0]: r[1] for r in rows.groupBy(label).count().orderBy(F.desc("count"), label).limit(256).collect()}
-    if not counts:
-        return rows.limit(0)
-    draw = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(seed)), F.lit(1_000_000))
-    rate = F.element_at(F.create_map(*[F.lit(x) for k, n in counts.items() for x in (k, int(min(1.0, per_label / n) * 1_000_000))]), F.col(label))
-    return rows.filter(draw < rate)
+    counts = written(rows.filter(F.col(label).isNotNull()).groupBy(label).agg(F.count("*").alias("__n")), "labels")
+    bounds = counts.select(label, hash_bound(F.col("__n"), per_label).alias("__bound"))
+    if counts.count() <= BROADCAST_LABELS:
+        bounds = F.broadcast(bounds)
+    return rows.join(bounds, label).filter(F.xxhash64("doc_id", F.lit(seed)) <= F.col("__bound")).select(*rows.columns)
