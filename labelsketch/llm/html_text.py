@@ -54,12 +54,16 @@ SPLIT = re.compile(r"[^a-z]+")
 BROADCAST_HOSTS = 200_000
 HOST = r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]*)"
 
+#: Open elements up to which containers have paths of their own.
+DEEPEST = 3000
+
 
 class Node:
-    __slots__ = ("tag", "path", "noise", "link", "score", "box", "rest", "rest_linked", "mark", "anchor")
+    __slots__ = ("tag", "path", "noise", "link", "score", "box", "rest", "rest_linked", "mark", "anchor", "holds", "in_article")
 
     def __init__(self, tag: str, path: str, noise: bool, link: bool, box: Node | None):
         self.tag, self.path, self.noise, self.link, self.score = tag, path, noise, link, 0.0
+        self.holds = self.in_article = False  # is it a container; is it inside of (or itself) article or main
         self.box = box  # the container around it
         self.rest = self.rest_linked = 0  # characters below it, and those in links, that are not of the chosen containers
         self.mark: Mark | None = None  # the innermost mark that can be overruled; none under one that can't be
@@ -136,6 +140,7 @@ def blocks(page: str, allowed: frozenset[int] | None = None) -> tuple[list[tuple
     """
     root = Node("html", "html", False, False, None)
     root.box = root
+    root.holds = True
     marks = root.mark = Mark(-1, False)
     stack, found, boxes = [root], [], [root]
     parts: list[str] = []
@@ -148,7 +153,7 @@ def blocks(page: str, allowed: frozenset[int] | None = None) -> tuple[list[tuple
         if parts:
             text = BLANKS.sub(" ", html.unescape("".join(parts))).strip()
             if text:
-                chain, box = [], stack[-1] if stack[-1].tag in CONTAINER or stack[-1] is root else stack[-1].box
+                chain, box = [], stack[-1] if stack[-1].holds else stack[-1].box
                 while True:
                     chain.append(box)
                     if box is root:
@@ -215,13 +220,15 @@ def blocks(page: str, allowed: frozenset[int] | None = None) -> tuple[list[tuple
             at = page.find(">", close) + 1 or n
             continue
         top = stack[-1]
-        in_article = any(x.tag in ("article", "main") for x in stack)
+        in_article = top.in_article
         step, noise, soft = described(tag, m[3], in_article)
         noise &= not (soft and allowed and at in allowed)
-        box = top if top.tag in CONTAINER or top is root else top.box
+        box = top if top.holds else top.box
         if noise and not top.noise:
             flush()
-        node = Node(tag, f"{box.path}>{step}" if tag in CONTAINER else box.path, top.noise or noise, top.link or tag == "a", box)
+        holds = tag in CONTAINER and len(stack) <= DEEPEST  # deeper elements keep their marks, their paths end here
+        node = Node(tag, f"{box.path}>{step}" if holds else box.path, top.noise or noise, top.link or tag == "a", box)
+        node.holds, node.in_article = holds, in_article or tag in ("article", "main")
         if top.mark is not None and (soft or not noise):
             if noise and allowed is None:
                 node.mark = Mark(at, in_article)
@@ -229,10 +236,8 @@ def blocks(page: str, allowed: frozenset[int] | None = None) -> tuple[list[tuple
             else:
                 node.mark, node.anchor = top.mark, max(top.anchor, ANCHOR.get(tag, 0))
         stack.append(node)
-        if tag in CONTAINER and not node.noise:
+        if holds and not node.noise:
             boxes.append(node)
-        if len(stack) > 3000:
-            leave(2000)  # absurdly deep markup: its blocks are read, its paths end here
     flush()
     if allowed is None and marks.inside and (most := overruled(marks)):
         return blocks(page, frozenset(most))
@@ -301,12 +306,16 @@ PATHS = T.ArrayType(T.StructType([T.StructField("path", T.StringType()), T.Struc
 
 
 def host_paths(pages: DataFrame) -> DataFrame:
-    """host, winner: the container path with the largest summed score of all pages of the host."""
+    """host, winner: the container path with the largest summed score of all pages of the host.
+
+    Pages without a host have no consensus; each takes its own best container.
+    """
 
     def make():
         return lambda pages: [[[{"path": p, "score": round(s)} for p, s in best_paths(x).items()] for x in pages]]
 
-    scored = common.map_texts(pages.select(host(F.col("url")).alias("host"), "html"), ["host"], ["html"], [T.StructField("paths", PATHS)], make)
+    known = pages.select(host(F.col("url")).alias("host"), "html").filter("host <> ''")
+    scored = common.map_texts(known, ["host"], ["html"], [T.StructField("paths", PATHS)], make)
     votes = scored.select("host", F.inline("paths")).groupBy("host", "path").agg(F.sum("score").alias("score"))
     return votes.groupBy("host").agg(F.max_by("path", F.struct("score", "path")).alias("winner"))
 
