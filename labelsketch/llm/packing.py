@@ -88,11 +88,11 @@ def cuts(n: int, capacity: int, tail: int) -> list[tuple[int, int]]:
     return found
 
 
-PIECES = T.ArrayType(T.StructType([T.StructField("start", T.LongType()), T.StructField("length", T.LongType()), T.StructField("ids_crc32", T.LongType())]))
+PIECES = T.ArrayType(T.StructType([T.StructField("start", T.LongType()), T.StructField("length", T.LongType()), T.StructField("ids_crc32", T.LongType()), T.StructField("ids", T.BinaryType())]))
 
 
-def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, tail: int = TAIL) -> DataFrame:
-    """doc_id, start, length, ids_crc32, doc_tokens: one row per piece."""
+def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, tail: int = TAIL, with_ids: bool = False) -> DataFrame:
+    """doc_id, doc_tokens, start, length, ids_crc32: one row per piece; and its ids, little-endian unsigned 32-bit, if wanted."""
 
     def make():
         coder = tokens(tokenizer_path)
@@ -102,13 +102,15 @@ def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, tail:
             for text in texts:
                 ids = np.append(coder.ids(text or ""), np.uint32(END_ID)).astype("<u4")
                 sizes.append(len(ids))
-                found.append([{"start": a, "length": n, "ids_crc32": zlib.crc32(ids[a : a + n].tobytes())} for a, n in cuts(len(ids), capacity, tail)])
+                raw = ((a, n, ids[a : a + n].tobytes()) for a, n in cuts(len(ids), capacity, tail))
+                found.append([{"start": a, "length": n, "ids_crc32": zlib.crc32(x), "ids": x if with_ids else None} for a, n, x in raw])
             return [found, sizes]
 
         return work
 
     made = common.map_texts(docs, ["doc_id"], ["text"], [T.StructField("pieces", PIECES), T.StructField("doc_tokens", T.LongType())], make)
-    return made.select("doc_id", "doc_tokens", F.inline("pieces"))
+    made = made.select("doc_id", "doc_tokens", F.inline("pieces"))
+    return made if with_ids else made.drop("ids")
 
 
 def difference(sizes: np.ndarray, windows: int) -> np.ndarray:
@@ -220,7 +222,7 @@ def sequences(found: DataFrame, capacity: int = CAPACITY, block: int = BLOCK) ->
     return dealt.mapInArrow(run, schema)
 
 
-def packed(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, tail: int = TAIL) -> DataFrame:
-    """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
-    made = sequences(pieces(docs, tokenizer_path, capacity, tail), capacity)
-    return made.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")
+def packed(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, tail: int = TAIL, with_ids: bool = False) -> DataFrame:
+    """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, and ids if wanted."""
+    made = sequences(pieces(docs, tokenizer_path, capacity, tail, with_ids), capacity)
+    return made.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", *(["ids"] if with_ids else []))

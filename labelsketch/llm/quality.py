@@ -41,6 +41,8 @@ BAD_ON_BAD, BAD_ON_GOOD = 0.15, 0.001
 WEIGHT_BAD, WEIGHT_GOOD = 0.1, 20.0
 #: How likely a rule is to err at random, before its votes are seen.
 RANDOM_RULE = 0.05
+#: Texts whose evidence for that counts at most: votes of any corpus are dependent if enough of them are looked at.
+EVIDENCE_TEXTS = 20_000
 
 
 def bound(value: Column, body) -> Column:
@@ -140,6 +142,8 @@ def false_alarms(patterns: list[tuple[list[int], int]]) -> list[float]:
     """
     out, rules = [], range(len(RULES))
     total = sum(n for _, n in patterns)
+    patterns = [(p, n * min(1.0, EVIDENCE_TEXTS / max(1, total))) for p, n in patterns]
+    total = sum(n for _, n in patterns)
     bad = [sum(n for p, n in patterns if p[r] == 0) for r in rules]
     for r in rules:
         rate = min(0.999, max(BAD_ON_GOOD, bad[r] / max(1, total)))
@@ -147,9 +151,9 @@ def false_alarms(patterns: list[tuple[list[int], int]]) -> list[float]:
         for texts, both in ((bad[k], sum(n for p, n in patterns if p[k] == p[r] == 0)) for k in rules if k != r):
             ways = math.lgamma(texts + 1) - math.lgamma(both + 1) - math.lgamma(texts - both + 1)
             chance, none = (ways + both * math.log(x) + (texts - both) * math.log1p(-x) for x in (rate, BAD_ON_GOOD))
-            cases = [chance, none, -math.log(texts + 1)]
+            cases = [math.log(RANDOM_RULE) + chance, math.log((1 - RANDOM_RULE) / 2) + none, math.log((1 - RANDOM_RULE) / 2) - math.log(texts + 1)]
             random += chance
-            useful += max(cases) + math.log(sum(math.exp(c - max(cases)) for c in cases) / 3)
+            useful += max(cases) + math.log(sum(math.exp(c - max(cases)) for c in cases))
         out.append(max(BAD_ON_GOOD, rate / (1 + math.exp(min(700.0, useful - random)))))
     return out
 

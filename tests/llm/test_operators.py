@@ -7,7 +7,8 @@ import zlib
 
 import numpy as np
 import pytest
-from labelsketch.llm import decontaminate, html_text, lang_id, near_dedup, packing, pii, quality, queries, sharding, token_count, toxicity
+from labelsketch.llm import common, decontaminate, html_text, lang_id, near_dedup, packing, pii, quality, queries, sharding, token_count, toxicity
+from pyspark.sql import functions as F
 
 PROSE = "The old house stood by the river and nobody knew who had lived in it before the war came to the valley. "
 LONG = " ".join(f"word{i % 977} and{i % 31}" for i in range(20000))
@@ -82,6 +83,57 @@ def test_label_model_weighs_rules():
     assert quality.posterior([2] * n, share, table) > 0.9 and quality.posterior([0, *[2] * (n - 1)], share, table) < 0.5
 
 
+def votes_of(rng, n, kinds, noise):
+    """Counts and truth of vote patterns: kinds of bad texts (rules, share), and rules that err at random (rule: rate)."""
+    counts, truth = collections.Counter(), collections.defaultdict(collections.Counter)
+    for _ in range(n):
+        p, x, bad = [2] * len(quality.RULES), rng.random(), False
+        for rules, share in kinds:
+            if 0 <= x < share:
+                bad = True
+                for r in rules:
+                    p[r] = 0
+            x -= share
+        for r, rate in noise.items():
+            if rng.random() < rate:
+                p[r] = 0
+        code = sum(v * 3 ** (len(p) - 1 - i) for i, v in enumerate(p))
+        counts[code] += 1
+        truth[code][bad] += 1
+    return counts, truth
+
+
+@pytest.mark.parametrize(
+    ("kinds", "noise"),
+    [([((0,), 0.02), ((1, 3), 0.02), ((2,), 0.01)], {6: rate}) for rate in (0.02, 0.05, 0.15, 0.3)]  # a rule that is often wrong
+    + [([((0, 1), 0.3), ((2,), 0.02), ((4, 5), 0.01)], {}), ([((0,), 0.3), ((2,), 0.02), ((4,), 0.01)], {}), ([((0,), 0.02), ((1,), 0.02), ((2,), 0.01)], {})],  # a frequent kind of bad text
+)
+def test_label_model_finds_noise_and_frequent_junk(kinds, noise):
+    counts, truth = votes_of(np.random.default_rng(1), 20000, kinds, noise)
+    for scale in (1, 1000):  # the verdicts don't depend on the size of the corpus
+        share, table = quality.fit({c: n * scale for c, n in counts.items()})
+        kept = {c for c in counts if quality.posterior(quality.unpack(c), share, table) >= 0.5}
+        assert sum(truth[c][False] for c in counts if c not in kept) == 0 and sum(truth[c][True] for c in kept) == 0
+
+
+MEASURES = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS t, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+grams AS (SELECT r, i, array_to_string(w[i : i + 2], ' ') AS g FROM (SELECT r, w, unnest(range(1, len(w) - 1)) AS i FROM d WHERE len(w) > 2)),
+twice AS (SELECT r, i FROM (SELECT r, i, count(*) OVER (PARTITION BY r, g) AS n FROM grams) WHERE n > 1),
+covered AS (SELECT r, count(DISTINCT p) AS n FROM (SELECT r, unnest(range(i, i + 3)) AS p FROM twice) GROUP BY 1),
+lines AS (SELECT r, x FROM (SELECT r, unnest(string_split(t, chr(10))) AS x FROM d) WHERE regexp_matches(x, '[^\x20\x09-\x0D]')),
+dup AS (SELECT r, count(*) - count(DISTINCT x) AS n FROM lines GROUP BY 1)
+SELECT doc_id, len(w) AS n_words, length(array_to_string(w, '')) AS word_chars, length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS n_symbols, coalesce(dup.n, 0) AS n_dup_lines, coalesce(covered.n, 0) AS n_repeat_words,
+len(w) < 50 OR 100 * coalesce(covered.n, 0) > 50 * len(w) AS base_failed FROM d LEFT JOIN dup USING (r) LEFT JOIN covered USING (r)
+"""
+
+
+def test_quality_measures_equal_sql(spark, duck, sf):
+    want = duck.execute(MEASURES)
+    columns = [c[0] for c in want.description]
+    assert sorted(tuple(r) for r in rows_of(queries.op3_quality(spark, sf).select(*columns))) == sorted(want.fetchall())
+
+
 # near duplicates
 
 
@@ -110,7 +162,28 @@ def test_near_duplicates_edges(docs, nothing):
     assert rows_of(near_dedup.duplicates(nothing)) == []
 
 
-@pytest.mark.parametrize("stars", [3, 0])
+def test_near_duplicates_on_table(spark, sf):
+    texts = [(r.doc_id, r.text) for r in rows_of(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text"))]
+    found = collections.Counter((r.doc_id, r.n_shingles, r.component_id) for r in rows_of(queries.op7_near_duplicates(spark, sf)))
+    assert found == collections.Counter(components(texts, 2, 80))
+
+
+def test_near_duplicates_take_any_ids(spark):
+    rows = [("b", PROSE), ("a", PROSE.upper()), ("c", "quite another text of some length"), ("c", PROSE)]
+    found = sorted((r.doc_id, r.component_id, r.kept) for r in rows_of(near_dedup.duplicates(spark.createDataFrame(rows, "doc_id string, text string"), 2, 80)))
+    assert found == [("a", "a", True), ("b", "a", False), ("c", "a", False), ("c", "c", True)]
+
+
+def test_label_sample_bounds_any_count(spark):
+    counts = spark.createDataFrame([(10,), (10**10,), (10**15,)], "n long")
+    for n, bound in rows_of(counts.select("n", common.hash_bound(F.col("n"), 250))):
+        assert bound == 2**63 - 1 if n <= 250 else abs((bound + 2**63) / 2**64 * n - 250) < 1
+    rows = spark.range(20000).select(F.col("id").alias("doc_id"), (F.col("id") % 400).cast("string").alias("lang"))
+    sample = common.label_sample(rows, "lang", 10, "x")
+    assert sample.select("lang").distinct().count() == 400 and 3000 < sample.count() < 5000
+
+
+@pytest.mark.parametrize("stars", [2, 0])
 def test_near_duplicates_borderline_groups(spark, stars, monkeypatch):
     monkeypatch.setattr(near_dedup, "BLOCK_ROWS", 8)
     rng = np.random.default_rng(5)
@@ -161,23 +234,26 @@ def test_decontamination(spark, docs, nothing, monkeypatch):
     items = [(1, PROSE), (2, "ONE"), (3, None), (4, ""), (10, "b c a"), (5, PROSE), (6, "nobody knew who had lived in it before the war came to"), (7, "é ß 中文")]
     bench = spark.createDataFrame(items, "item_id long, text string")
     small = docs.filter("doc_id is null or doc_id <> 6")
-    for most in (decontaminate.BLOCK_BYTES, 40):  # one block, and several
-        blocks = decontaminate.blocks_of(bench, most)
-        monkeypatch.setattr(decontaminate, "blocks_of", lambda b, blocks=blocks: blocks)
+    for most in (decontaminate.BROADCAST_ROWS, 1):  # sides that are broadcast, and sides that are shuffled
+        monkeypatch.setattr(decontaminate, "BROADCAST_ROWS", most)
         found = collections.Counter((r.doc_id, r.n_words, r.n_hit, r.n_items, r.items_sha256) for r in rows_of(decontaminate.contamination(small, bench, ["doc_id"])))
         assert found == collections.Counter((i, *leaked(t, items)) for i, t, _ in ROWS if i != 6)
-        monkeypatch.undo()
     assert rows_of(decontaminate.contamination(nothing, bench, ["doc_id"])) == []
-    assert not any(r.contaminated for r in rows_of(decontaminate.contamination(docs, bench.limit(0), ["doc_id"])))
+    for none in (bench.limit(0), bench.filter("item_id in (3, 4)")):
+        found = rows_of(decontaminate.contamination(docs, none, ["doc_id"]))
+        assert not any(r.contaminated for r in found)
+        assert collections.Counter((r.doc_id, r.n_words) for r in found) == collections.Counter((i, len(leaked_words(t))) for i, t, _ in ROWS)
 
 
-def test_decontamination_on_table(spark, sf):
-    items = [(r.item_id, r.text) for r in rows_of(spark.read.parquet(f"{sf}/benchmark.parquet"))]
-    texts = {r.doc_id: r.text for r in rows_of(spark.read.parquet(f"{sf}/documents.parquet"))}
-    found = rows_of(queries.op4_decontamination(spark, sf))
-    hit = [r for r in found if r.contaminated]
-    for r in [*hit, *[x for x in found if len(texts[x.doc_id] or "") < 1500][:20]]:
-        assert (r.n_words, r.n_hit, r.n_items, r.items_sha256) == leaked(texts[r.doc_id], items)
+def leaked_words(text):
+    return [w for w in re.split("[^a-z0-9\\x80-\U0010ffff]+", (text or "").translate(str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"))) if w]
+
+
+def test_decontamination_equals_sql(spark, duck, sf):
+    found = queries.op4_decontamination(spark, sf)
+    want = duck.execute(queries.oracle_sql()["op4_decontamination"])
+    assert found.columns == [c[0] for c in want.description]
+    assert sorted(map(tuple, rows_of(found))) == sorted(want.fetchall())
 
 
 def test_kept_rows_judges_rows_not_ids(spark):
