@@ -82,10 +82,34 @@ def docword(spark: SparkSession, sf_dir: str) -> DataFrame:
     return two_types(pairs.join(dense_ids(pairs, "word"), "word"), "doc_id", "dense_id", F.lit(1.0))
 
 
-def shared_line(spark: SparkSession, sf_dir: str, least: int = 20) -> DataFrame:
-    """Documents that share a line of so many characters, as a star around the least document of each line."""
+#: Documents of a line up to which all its pairs are edges; the rest of a hotter line hangs on its least document.
+LINE_DOCS = 200
+
+
+def lines_of(spark: SparkSession, sf_dir: str, least: int) -> DataFrame:
+    """doc_id, line: the distinct lines of so many characters, as checksums."""
     lines = table(spark, sf_dir, "documents").select("doc_id", F.explode(F.array_distinct(F.split("text", "\n"))).alias("line")).filter(F.length("line") >= least)
-    return symmetrize(bipartite_project(lines.select("doc_id", F.md5("line").alias("line")), "doc_id", "line"))
+    return lines.select("doc_id", F.md5("line").alias("line")).distinct()
+
+
+def shared_line(spark: SparkSession, sf_dir: str, least: int = 20, most: int = LINE_DOCS) -> DataFrame:
+    """Documents that share a line of so many characters, weighted by the lines.
+
+    A line of at most ``most`` documents ties them all; a hotter one is a star around its least document, so that no line costs
+    the square of its documents and none is dropped.
+    """
+    lines = lines_of(spark, sf_dir, least)
+    count = lines.groupBy("line").agg(F.count("*").alias("n"), F.min("doc_id").alias("src")).filter("n > 1")
+    rare, hot = count.filter(F.col("n") <= most).select("line"), count.filter(F.col("n") > most).select("line", "src")
+    some = lines.join(rare, "line")
+    pairs = some.join(some.select("line", F.col("doc_id").alias("dst")), "line").filter("doc_id < dst").select(F.col("doc_id").alias("src"), "dst")
+    stars = lines.join(hot, "line").filter("src <> doc_id").select("src", F.col("doc_id").alias("dst"))
+    return symmetrize(pairs.unionByName(stars).groupBy("src", "dst").agg(F.count("*").cast("double").alias("weight")))
+
+
+def shared_line_star(spark: SparkSession, sf_dir: str, least: int = 20) -> DataFrame:
+    """The same documents, every line a star around its least document: linear in the lines."""
+    return symmetrize(bipartite_project(lines_of(spark, sf_dir, least), "doc_id", "line"))
 
 
 def user_activity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -103,6 +127,10 @@ def turn_path(spark: SparkSession, sf_dir: str) -> DataFrame:
     return symmetrize(turn.select(at.alias("src"), (F.col("conv_id") * 1048576 + after).alias("dst"), F.lit(1.0).alias("weight")).filter("dst is not null"))
 
 
+#: Vectors of each side of a tile of similarities.
+TILE = 1024
+
+
 def knn(spark: SparkSession, sf_dir: str, n: int = 5, block_rows: int = 20_000) -> DataFrame:
     """Each vector's n nearest by cosine (ties by id), weight round(10^6 (1 + cos)).
 
@@ -126,11 +154,16 @@ def knn(spark: SparkSession, sf_dir: str, n: int = 5, block_rows: int = 20_000)
             q_ids, q = held.value
             for batch in batches:
                 ids, x = batch.column("vec_id").to_numpy(), np.stack(batch.column("embedding").to_numpy(zero_copy_only=False)).astype(np.float64)
-                cos = np.round(1e6 * (1 + q @ (x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)).T))
-                for i, at in enumerate(q_ids):
-                    order = np.lexsort((ids, -cos[i]))
-                    best = order[ids[order] != at][:n]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(best), at)), pa.array(ids[best]), pa.array(cos[i][best])], ["src", "dst", "weight"])
+                x = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
+                for a in range(0, len(q), TILE):  # a tile's product is TILE x TILE
+                    for b in range(0, len(x), TILE):
+                        cos, there = np.round(1e6 * (1 + q[a : a + TILE] @ x[b : b + TILE].T)), ids[b : b + TILE]
+                        cos[q_ids[a : a + TILE, None] == there] = -1
+                        for i, row in enumerate(cos):
+                            cut = np.partition(row, max(0, len(row) - n))[max(0, len(row) - n)]
+                            some = np.nonzero((row >= cut) & (row >= 0))[0]
+                            best = some[np.lexsort((there[some], -row[some]))][:n]
+                            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(best), q_ids[a + i])), pa.array(there[best]), pa.array(row[best])], ["src", "dst", "weight"])
 
         near = vectors.mapInArrow(run, "src long, dst long, weight double")
         found = near if found is None else found.unionByName(near)
@@ -152,4 +185,4 @@ def toy(spark: SparkSession, name: str) -> DataFrame:
     return symmetrize(spark.createDataFrame([(a, b, 1.0) for a, b in TOYS[name]], "src long, dst long, weight double"))
 
 
-BUILDERS = {f.__name__: f for f in (weblink, copurchase, supply, trade, order_path, kmer, bigram, docword, shared_line, user_activity, turn_path, knn)}
+BUILDERS = {f.__name__: f for f in (weblink, copurchase, supply, trade, order_path, kmer, bigram, docword, shared_line, shared_line_star, user_activity, turn_path, knn)}

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from ..operators.builders import BUILDERS, LINE_DOCS, TOYS
 from ..operators.graph import CHUNK_ROWS, HUB_CHUNKS, HUB_DEGREE
 from ..operators.local import mix_sql
 from ..operators.propagate import LPConfig
@@ -10,6 +11,8 @@ from .queries import LP_RUNS, SPREAD
 
 WORDS = "list_filter(regexp_split_to_array(lower(text), '[^a-z]+'), lambda w: w <> '')"
 
+LINES = "lines AS (SELECT DISTINCT doc_id, md5(line) AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 20)"
+
 #: Common table expressions that end in pairs p(src, dst, weight), and how parallel pairs combine.
 PAIRS: dict[str, tuple[str, str]] = {
     "weblink": ("links AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS target FROM pages), keyed AS (SELECT page_id, dense_rank() OVER (ORDER BY encode(target)) - 1 AS k FROM links), p AS (SELECT 2 * page_id AS src, 2 * k + 1 AS dst, 1.0 AS weight FROM keyed)", "sum"),
@@ -20,7 +23,9 @@ PAIRS: dict[str, tuple[str, str]] = {
     "kmer": ("piece AS (SELECT substring(text, b, 268) AS text FROM (SELECT text, unnest(range(1, length(text) - 11, 256)) AS b FROM documents WHERE length(text) > 12)), place AS (SELECT text, unnest(range(1, length(text) - 11)) AS i FROM piece), raw AS (SELECT DISTINCT substring(text, i, 12) AS a, substring(text, i + 1, 12) AS b FROM place), pair AS (SELECT * FROM raw WHERE a <> b), ids AS (SELECT w, row_number() OVER (ORDER BY encode(w)) - 1 AS k FROM (SELECT a AS w FROM pair UNION SELECT b FROM pair)), p AS (SELECT x.k AS src, y.k AS dst, 1.0 AS weight FROM pair JOIN ids x ON x.w = a JOIN ids y ON y.w = b)", "max"),
     "bigram": (f"cut AS (SELECT {WORDS} AS w FROM documents), place AS (SELECT w, unnest(range(1, len(w))) AS i FROM cut), pair AS (SELECT w[i] AS a, w[i + 1] AS b, count(*) AS n FROM place WHERE w[i] <> w[i + 1] GROUP BY 1, 2), ids AS (SELECT w, row_number() OVER (ORDER BY encode(w)) - 1 AS k FROM (SELECT a AS w FROM pair UNION SELECT b FROM pair)), p AS (SELECT x.k AS src, y.k AS dst, n AS weight FROM pair JOIN ids x ON x.w = a JOIN ids y ON y.w = b)", "sum"),
     "docword": (f"pair AS (SELECT DISTINCT doc_id, unnest({WORDS}) AS word FROM documents), p AS (SELECT 2 * doc_id AS src, 2 * (dense_rank() OVER (ORDER BY encode(word)) - 1) + 1 AS dst, 1.0 AS weight FROM pair)", "sum"),
-    "shared_line": ("lines AS (SELECT DISTINCT doc_id, md5(line) AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 20), p AS (SELECT src, doc_id AS dst, count(*) AS weight FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY line) AS src FROM lines) WHERE src <> doc_id GROUP BY 1, 2)", "sum"),
+    "shared_line": (f"{LINES}, counted AS (SELECT *, count(*) OVER (PARTITION BY line) AS n, min(doc_id) OVER (PARTITION BY line) AS least FROM lines), p AS (SELECT src, dst, count(*) AS weight FROM (SELECT x.doc_id AS src, y.doc_id AS dst FROM counted x JOIN counted y USING (line) WHERE x.n <= {LINE_DOCS} AND x.doc_id < y.doc_id UNION ALL SELECT least, doc_id FROM counted WHERE n > {LINE_DOCS} AND least <> doc_id) GROUP BY 1, 2)", "sum"),
+    "shared_line_star": (f"{LINES}, p AS (SELECT src, doc_id AS dst, count(*) AS weight FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY line) AS src FROM lines) WHERE src <> doc_id GROUP BY 1, 2)", "sum"),
+    "knn": ("v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings WHERE embedding IS NOT NULL), unit AS (SELECT vec_id, list_transform(e, lambda y: y / greatest(sqrt(list_sum(list_transform(e, lambda z: z * z))), 1e-12)) AS u FROM v), near AS (SELECT a.vec_id AS src, b.vec_id AS dst, round(1e6 * (1 + list_dot_product(a.u, b.u))) AS weight FROM unit a JOIN unit b ON a.vec_id <> b.vec_id), p AS (SELECT src, dst, weight FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY weight DESC, dst) AS r FROM near) WHERE r <= 5)", "max"),
     "user_activity": ("act AS (SELECT user_id, strftime(ts, '%Y-%m-%d') || '|' || event_type AS slot, sum(CAST(round(value * 100) AS BIGINT)) AS w FROM events GROUP BY 1, 2 HAVING sum(CAST(round(value * 100) AS BIGINT)) > 0), p AS (SELECT 2 * user_id AS src, 2 * (dense_rank() OVER (ORDER BY encode(slot)) - 1) + 1 AS dst, w AS weight FROM act)", "sum"),
     "turn_path": ("turns AS (SELECT DISTINCT conv_id, turn FROM conversations), p AS (SELECT * FROM (SELECT conv_id * 1048576 + turn AS src, conv_id * 1048576 + lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS dst, 1.0 AS weight FROM turns) WHERE dst IS NOT NULL)", "sum"),
 }
@@ -104,6 +109,31 @@ def unrolled(name: str, config: LPConfig, last: int | None = None) -> tuple[str,
     return ctes, now
 
 
+def stopped(name: str, config: LPConfig) -> str:
+    """The labels of a run with its stop rule: iterations after the stop change nothing."""
+    tau = config.stop.tolerance
+    ctes = f"{edges(name)}, {PREPARED}, labels0 AS MATERIALIZED (SELECT DISTINCT dst AS id, dst AS label FROM edges), stop0 AS (SELECT false AS done)"
+    for t in range(config.stop.max_iterations):
+        n, less = t + 1, config.pick_less.applies(t)
+        rule = "candidate < label" if less else "candidate <> label"
+        ctes += f", pairs{n} AS MATERIALIZED (SELECT dst, chunk, ord, label, weight FROM prep JOIN labels{t} ON src = id WHERE NOT (SELECT done FROM stop{t})), {candidates(config.selector, f'pairs{n}', str(n))}"
+        ctes += f", moved{n} AS MATERIALIZED (SELECT id, CASE WHEN {rule} THEN candidate ELSE label END AS label, coalesce({rule}, false) AS moved FROM labels{t} LEFT JOIN cand{n} USING (id)), labels{n} AS MATERIALIZED (SELECT id, label FROM moved{n})"
+        ends = "false" if less and not config.pick_less.always else f"(SELECT count(*) FILTER (moved) <= {tau} * count(*) FROM moved{n})"
+        ctes += f", stop{n} AS MATERIALIZED (SELECT done OR {ends} AS done FROM stop{t})"
+    return f"WITH {ctes} SELECT id, label FROM labels{config.stop.max_iterations}"
+
+
+def louvain_one_pass() -> str:
+    """One round of local moves from unique labels, towards smaller ones."""
+    gain = "w - k * (total - CASE WHEN label = own THEN k ELSE 0 END) / two_m"
+    return (
+        f"WITH {edges('weblink')}, deg AS (SELECT dst AS id, sum(weight) AS k FROM edges GROUP BY 1), m AS (SELECT sum(weight) AS two_m FROM edges), "
+        f"link AS (SELECT dst AS id, dst AS own, src AS label, sum(weight) AS w FROM edges WHERE src <> dst GROUP BY 1, 2, 3 UNION ALL SELECT id, id, id, 0 FROM deg), "
+        f"gains AS (SELECT link.id, own, label, max({gain}) AS gain FROM (SELECT link.*, a.k, b.k AS total FROM link JOIN deg a ON a.id = link.id JOIN deg b ON b.id = label) link, m GROUP BY 1, 2, 3), "
+        f"best AS (SELECT *, row_number() OVER (PARTITION BY id ORDER BY round(gain, 9) DESC, (label = own) DESC, label) AS r FROM gains) SELECT id, CASE WHEN label < own THEN label ELSE own END AS label FROM best WHERE r = 1"
+    )
+
+
 def run_sql(run: str) -> str:
     ctes, now = unrolled(*LP_RUNS[run])
     return f"WITH {ctes} SELECT id, label FROM {now}"
@@ -138,7 +168,7 @@ DEGREES = "SELECT dst AS id, count(*) AS degree FROM edges WHERE src <> dst GROU
 
 
 def oracle_sql() -> dict[str, str]:
-    found = {f"graph_{name}_edges": f"WITH {edges(name)} SELECT src, dst, weight FROM edges" for name in PAIRS}
+    found = {f"graph_{name}_edges": f"WITH {edges(name)} SELECT src, dst, weight FROM edges" for name in PAIRS if name in BUILDERS}
     found |= {run: run_sql(run) for run in LP_RUNS}
     found |= {"graph_stats": f"WITH {edges('copurchase')} {STATS}", "graph_stats_trade": f"WITH {edges('trade')} {STATS}"}
     trade = edges("trade")
@@ -163,7 +193,7 @@ def oracle_sql() -> dict[str, str]:
     both = f"edges JOIN {now} x ON x.id = src JOIN {now} y ON y.id = dst"
     found["boundary_edges"] = f"WITH {ctes} SELECT src, dst, weight FROM {both} WHERE x.label <> y.label"
     found["contract_graph"] = f"WITH {ctes} SELECT x.label AS src, y.label AS dst, sum(weight) AS weight FROM {both} GROUP BY 1, 2"
-    ctes, now = unrolled(*LP_RUNS["mg_lp_3"])
+    ctes, now = unrolled(*LP_RUNS["mg_lp_8"])
     found["delta_modularity"] = (
         f"WITH {ctes}, tot AS (SELECT label, sum(weight) AS s FROM edges JOIN {now} ON id = dst GROUP BY 1), deg AS (SELECT dst AS id, sum(weight) AS k FROM edges GROUP BY 1), link AS (SELECT dst AS id, label, sum(weight) AS w FROM edges JOIN {now} ON id = src WHERE src <> dst GROUP BY 1, 2), mm AS (SELECT sum(weight) / 2 AS m FROM edges) "
         f"SELECT l.id, l.label AS target, round(1e6 * CASE WHEN l.label = o.label THEN 0.0 ELSE (l.w - coalesce(f.w, 0)) / m - k * (k + a.s - c.s) / (2 * m * m) END, 3) AS dq_millionths FROM link l JOIN {now} o ON o.id = l.id JOIN deg ON deg.id = l.id JOIN mm ON true JOIN tot a ON a.label = l.label JOIN tot c ON c.label = o.label LEFT JOIN link f ON f.id = l.id AND f.label = o.label"
@@ -188,7 +218,11 @@ def oracle_sql() -> dict[str, str]:
         rows.append(f"SELECT * FROM (WITH {ctes} SELECT {k} AS k, round(q, 6) AS q, communities FROM ({modularity(now)}))")
     found["mg_slot_sweep"] = " UNION ALL ".join(rows)
     found["mg_frequent_items"] = "SELECT user_id AS item, count(*) AS n FROM events GROUP BY 1 HAVING count(*) * 51 > (SELECT count(*) FROM events)"
+    found |= {f"{name}_lp_converged": stopped("weblink", LPConfig(selector)) for name, selector in (("exact", Exact()), ("mg", HeavyHitter()), ("vote", MajorityVote()))}
+    found["louvain_one_pass"] = louvain_one_pass()
     found["majority_item"] = "SELECT CASE WHEN l_linestatus = 'F' THEN 1 ELSE 0 END AS item, count(*) AS n FROM lineitem GROUP BY 1 HAVING count(*) * 2 > (SELECT count(*) FROM lineitem)"
     found["method_recommendation"] = " UNION ALL ".join(f"SELECT * FROM (WITH {edges(g)}, s AS ({STATS}) SELECT '{g}' AS graph, d_avg, CASE WHEN d_avg < 3 THEN 'exact' ELSE 'mg8' END AS method FROM s)" for g in ("weblink", "copurchase", "order_path", "turn_path"))
-    found["toy_two_triangles"] = "SELECT CAST(id AS BIGINT) AS id, CAST(CASE WHEN id <= 3 THEN 1 ELSE 3 END AS BIGINT) AS label FROM range(1, 7) r(id)"
+    pairs = ", ".join(f"({x}, {y}, 1.0)" for x, y in TOYS["two_triangles"])
+    PAIRS["two_triangles"] = (f"p AS (SELECT * FROM (VALUES {pairs}) AS v(src, dst, weight))", "sum")
+    found["toy_two_triangles"] = stopped("two_triangles", LPConfig(HeavyHitter()))
     return found

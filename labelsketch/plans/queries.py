@@ -128,7 +128,7 @@ def contract_graph(spark, sf_dir):
 
 
 def delta_modularity(spark, sf_dir):
-    edges, labels = of_run("mg_lp_3", spark, sf_dir)
+    edges, labels = of_run("mg_lp_8", spark, sf_dir)
     moves = graph.drop_self_loops(edges).join(labels.select(F.col("id").alias("src"), F.col("label").alias("target")), "src").select(F.col("dst").alias("id"), "target").distinct()
     return metrics.delta_modularity(edges, labels, moves).select("id", "target", F.round(F.col("dq") * 1e6, 3).alias("dq_millionths"))
 
