@@ -1,4 +1,4 @@
-"""Headline runs: five methods on three graphs, timed as label tables that are fully computed (graph building excluded).
+"""Headline runs: six methods on four graphs (web, near copies, road, social), timed as label tables that are fully computed (graph building excluded).
 
 Prints one JSON line. BENCH_SF_DIR, BENCH_CPUS and BENCH_REPEATS (runs per method and graph, the mean counts) are read.
 ``python bench.py slots`` (or scans, sketches, folds, pickless, tune) prints an ablation as JSON instead.
@@ -20,16 +20,17 @@ from pyspark.sql import SparkSession  # noqa: E402
 
 from labelsketch.operators import baselines, metrics  # noqa: E402
 from labelsketch.operators.builders import BUILDERS  # noqa: E402
-from labelsketch.operators.graph import graph_stats, scan_positions  # noqa: E402
+from labelsketch.operators.graph import graph_stats  # noqa: E402
 from labelsketch.operators.propagate import LPConfig, PickLess, label_propagation, tune  # noqa: E402
 from labelsketch.operators.selectors import Exact, HeavyHitter, MajorityVote  # noqa: E402
 from labelsketch.store import written  # noqa: E402
 
-GRAPHS = ("weblink", "shared_line", "copurchase")
+GRAPHS = ("weblink", "shared_line", "order_path", "copurchase")
 METHODS = {
     "mg8": lambda e: label_propagation(e, LPConfig(HeavyHitter())),
     "vote": lambda e: label_propagation(e, LPConfig(MajorityVote())),
     "exact": lambda e: label_propagation(e, LPConfig(Exact())),
+    "baseline_a": baselines.baseline_parallel_lp,
     "baseline_b": baselines.baseline_thread_map_lp,
     "baseline_c": baselines.baseline_vertex_map_lp,
 }
@@ -81,17 +82,19 @@ def main() -> None:
         if not sets.get(name):
             sets[name] = {r["method"]: r["bytes"] for r in metrics.working_set_bytes(graph_stats(edges)).collect()}
         for method, run in runs.items():
+            moved = metrics.shuffled_bytes(spark)
             seconds, found = timed(run, edges, repeats)
+            moved = (metrics.shuffled_bytes(spark) - moved) // repeats
             q = metrics.modularity(edges, found.labels).first()
             queries[f"{method}_{name}"] = round(seconds, 3)
-            rows.append({"method": method, "graph": name, "seconds": round(seconds, 3), "iterations": len(found.history), "modularity": round(q["q"], 4), "communities": q["communities"], "edges_per_second": round(stats["m_edges"] * len(found.history) / seconds)})
-        shuffle = metrics.shuffle_model(scan_positions(edges).withColumnRenamed("src", "label")).first()
-        rows.append({"graph": name, "working_set_bytes": sets[name], "first_iteration_shuffle_rows": shuffle.asDict()})
+            rows.append({"method": method, "graph": name, "seconds": round(seconds, 3), "iterations": len(found.history), "modularity": round(q["q"], 4), "communities": q["communities"], "shuffle_bytes": moved, "edges_per_second": round(stats["m_edges"] * len(found.history) / seconds)})
+        rows.append({"graph": name, "working_set_bytes": sets[name]})
     out = {"metric": f"label_propagation_{what}", "value": round(sum(queries.values()), 3), "unit": "sec", "queries": queries, "sf": os.path.basename(sf_dir.rstrip("/")).removeprefix("sf"), "rows": rows}
     if what == "compare":
         at = {(r["method"], r["graph"]): r for r in rows if "method" in r}
         out["ratios"] = {
             **{f"seconds_{m}_over_mg8": geometric([at[m, g]["seconds"] / at["mg8", g]["seconds"] for g in GRAPHS]) for m in METHODS if m != "mg8"},
+            **{f"modularity_loss_percent_mg8_to_{m}": round(sum(100 * (1 - at["mg8", g]["modularity"] / at[m, g]["modularity"]) for g in GRAPHS if at[m, g]["modularity"] > 0.01) / max(1, sum(at[m, g]["modularity"] > 0.01 for g in GRAPHS)), 2) for m in METHODS if m != "mg8"},
             **{f"modularity_mg8_minus_{m}": round(sum(at["mg8", g]["modularity"] - at[m, g]["modularity"] for g in GRAPHS) / len(GRAPHS), 4) for m in METHODS if m != "mg8"},
             "working_set_thread_map_over_mg8": geometric([sets[g]["thread_map"] / sets[g]["mg"] for g in GRAPHS]), "working_set_vertex_map_over_mg8": geometric([sets[g]["vertex_map"] / sets[g]["mg"] for g in GRAPHS]),
         }

@@ -58,3 +58,11 @@ def majority_item(df: DataFrame, item: str, order: str) -> DataFrame:
 def recommend(stats: DataFrame) -> DataFrame:
     """Adds the method that the findings favour: exact label propagation on graphs of degree about 2, else the sketch."""
     return stats.withColumn("method", F.when(F.col("d_avg") < 3, F.lit("exact")).otherwise(F.lit("mg8")))
+
+
+#: Family of graphs -> what is recommended for quality, and where speed comes first.
+RECOMMENDED = {"web": ("mg8", "vote"), "social": ("mg8", "mg8"), "road": ("baseline_b", "baseline_b"), "kmer": ("baseline_a", "baseline_a")}
+
+
+def recommended(family: str, speed_first: bool = False) -> str:
+    return RECOMMENDED[family][speed_first]

@@ -69,7 +69,7 @@ def split_by_degree(edges: DataFrame, threshold: int = HUB_DEGREE) -> tuple[Data
 
 
 def scan_positions(edges: DataFrame, hub_degree: int = HUB_DEGREE, chunks: int = HUB_CHUNKS) -> DataFrame:
-    """dst, src, weight, ord, chunk, hub: neighbours numbered by ascending id; a hub's are dealt into chunks by that number.
+    """dst, src, weight, ord, chunk, hub, degree: neighbours numbered by ascending id; a hub's are dealt into chunks by that number.
 
     Chunks never come from a physical partition, so labels don't depend on the cluster.
     """
@@ -77,7 +77,7 @@ def scan_positions(edges: DataFrame, hub_degree: int = HUB_DEGREE, chunks: int =
     placed = drop_self_loops(edges).select("dst", "src", "weight", (F.row_number().over(w.orderBy("src")) - 1).alias("ord"), F.count("*").over(w).alias("degree"))
     dealt = F.pmod(F.col("ord"), F.greatest(F.lit(chunks), F.ceil(F.col("degree") / CHUNK_ROWS)))
     hub = F.col("degree") >= hub_degree
-    return placed.select("dst", "src", "weight", "ord", F.when(hub, dealt).otherwise(0).cast("int").alias("chunk"), hub.alias("hub"))
+    return placed.select("dst", "src", "weight", "ord", F.when(hub, dealt).otherwise(0).cast("int").alias("chunk"), hub.alias("hub"), "degree")
 
 
 def dense_ids(df: DataFrame, column: str, id_name: str = "dense_id") -> DataFrame:

@@ -1,10 +1,11 @@
 """The fold where the edges lie: labels travel to the neighbour lists, and only sketches of hubs' chunks are shuffled.
 
 Used while labels fit a broadcast of checked size (``plans.planner``). Neighbour lists are built and written once, in scan
-order, as indices into the sorted ids; low-degree vertices and hubs have tables, and paths, of their own. In an iteration
-each task reads its lists with the broadcast labels: a low-degree vertex is decided there, a hub's chunk yields its partial
-sums, sketch or vote, which meet in one small shuffle. Only the vertices that want another label come back to the driver.
-A chunk holds ``graph.CHUNK_ROWS`` neighbours at most, so memory is a batch of lists and the labels.
+order, as indices into the sorted ids; low-degree vertices, hubs and great hubs have tables, and paths, of their own. In an
+iteration each task reads its lists with the broadcast labels: a low-degree vertex is decided there, a hub's chunks are
+folded apart and merged there, a great hub's chunk yields its sums, sketch or vote, which meet in one small shuffle. Only the
+vertices that want another label come back to the driver. A list holds ``LOCAL_ROWS`` neighbours, and a great hub's chunk
+``graph.CHUNK_ROWS``, at most, so memory is a batch of lists and the labels.
 """
 
 from __future__ import annotations
@@ -18,10 +19,13 @@ from pyspark.sql import functions as F
 
 from ..functions import sketch as S
 from ..store import drop, written
+from .graph import CHUNK_ROWS
 from .selectors import Exact, HeavyHitter, MajorityVote, heaviest, merged
 
-#: Lists per Arrow part that one pass of numpy takes.
-PART = 4096
+#: Lists, and pairs about, that one pass of numpy takes.
+PART, PAIRS = 4096, 1 << 20
+#: Neighbours up to which a hub's chunks are merged in the task that has its list.
+LOCAL_ROWS = 65536
 
 
 def supported(selector) -> bool:
@@ -43,16 +47,20 @@ class Lists:
     ids: np.ndarray
     low: DataFrame
     hubs: DataFrame
+    great: DataFrame
+    chunks: int
+    great_any: bool = True
 
     def drop(self) -> None:
-        drop(self.low, self.hubs)
+        drop(self.low, self.hubs, self.great)
 
 
-def neighbour_lists(prepared: DataFrame, ids: np.ndarray) -> Lists:
-    """at, chunk, near, weights: indices of a vertex and of its neighbours, in scan order."""
+def neighbour_lists(prepared: DataFrame, ids: np.ndarray, chunks: int) -> Lists:
+    """at, chunk (-1: all of a vertex), near, weights: indices of a vertex and of its neighbours, in scan order."""
     held = prepared.sparkSession.sparkContext.broadcast(ids)
-    rows = prepared.groupBy("dst", "chunk", "hub").agg(F.array_sort(F.collect_list(F.struct("ord", "src", "weight"))).alias("p"))
-    rows = rows.select("dst", "chunk", "hub", F.col("p.src").alias("near"), F.col("p.weight").alias("weights"))
+    part = F.when(F.col("degree") <= LOCAL_ROWS, F.lit(-1)).otherwise(F.col("chunk")).alias("part")
+    rows = prepared.groupBy("dst", part, "hub").agg(F.array_sort(F.collect_list(F.struct("ord", "src", "weight"))).alias("p"))
+    rows = rows.select("dst", F.col("part").alias("chunk"), "hub", F.col("p.src").alias("near"), F.col("p.weight").alias("weights"))
 
     def index(batches):
         for batch in batches:
@@ -63,7 +71,9 @@ def neighbour_lists(prepared: DataFrame, ids: np.ndarray) -> Lists:
             yield pa.RecordBatch.from_arrays([at, batch.column("chunk"), batch.column("hub"), pa.ListArray.from_arrays(offsets, place), batch.column("weights")], ["at", "chunk", "hub", "near", "weights"])
 
     rows = written(rows.mapInArrow(index, "at int, chunk int, hub boolean, near array<int>, weights array<double>"), "lists")
-    found = Lists(ids, written(rows.filter("not hub").drop("hub"), "low"), written(rows.filter("hub").drop("hub"), "hubs"))
+    kinds = ("not hub and chunk < 0", "hub and chunk < 0", "chunk >= 0")
+    found = Lists(ids, *(written(rows.filter(k).drop("hub"), "lists") for k in kinds), chunks)
+    found.great_any = not found.great.isEmpty()
     drop(rows)
     return found
 
@@ -87,17 +97,25 @@ def tops(owner: np.ndarray, labels: np.ndarray, weights: np.ndarray, n: int) ->
 
 
 def slots_of(selector: HeavyHitter, label: np.ndarray, weight: np.ndarray, bounds: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(owner, label, weight) of the slots: sums where the labels fit, else the fold in scan order."""
-    o, x, w = sums_of(owner, label, weight)
-    many = np.bincount(o, minlength=len(bounds) - 1) > selector.k
-    keep = ~many[o]
+    """(owner, label, weight) of the slots in the order of their filling: sums where the labels fit, else the fold."""
+    order = np.lexsort((label, owner))
+    first = np.nonzero(np.r_[True, (owner[order][1:] != owner[order][:-1]) | (label[order][1:] != label[order][:-1])])[0] if len(owner) else np.zeros(0, np.int64)
+    place = order[first]  # lexsort is stable: where each label comes first
+    total = np.add.reduceat(weight[order], first) if len(first) else weight
+    many = np.bincount(owner[place], minlength=len(bounds) - 1) > selector.k
+    if len(weight) and weight.min() <= 0:
+        many |= True
+    keep = ~many[owner[place]]
+    place, total = place[keep], total[keep]
     folded: list[tuple[int, int, float]] = []
     for r in np.nonzero(many)[0].tolist():
         sketch = S.Sketch(selector.k, selector.overflow)
         sketch.fold(label[bounds[r] : bounds[r + 1]].tolist(), weight[bounds[r] : bounds[r + 1]].tolist())
         folded += [(r, a, b) for a, b in sketch.slots.items()]
     fo, fx, fw = (np.array([t[i] for t in folded], kind) for i, kind in enumerate((np.int64, np.int64, np.float64)))
-    return np.r_[o[keep], fo], np.r_[x[keep], fx], np.r_[w[keep], fw]
+    o, x, w = np.r_[owner[place], fo], np.r_[label[place], fx], np.r_[total, fw]
+    order = np.lexsort((np.r_[place, np.arange(len(fo))], o))
+    return o[order], x[order], w[order]
 
 
 def votes_of(selector: MajorityVote, label: np.ndarray, weight: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -126,12 +144,49 @@ def states(selector, label: np.ndarray, weight: np.ndarray, bounds: np.ndarray,
     return votes_of(selector, label, weight, bounds)
 
 
+def merged_states(selector, state: tuple, owner_of: np.ndarray, n: int) -> np.ndarray:
+    """Best label of each of n hubs from the states of its chunks, which come in the order of chunks; -1 for none."""
+    o, x, w = owner_of[state[0]], state[1], state[2]
+    if isinstance(selector, HeavyHitter) and selector.merge == "replay":
+        return tops(*slots_of(selector, x, w, np.searchsorted(o, np.arange(n + 1)), o), n)
+    if isinstance(selector, MajorityVote) and selector.combine == "max":
+        return tops(o, x, w, n)
+    o, x, w = sums_of(o, x, w)
+    if isinstance(selector, MajorityVote):  # equal candidates add up, others cancel
+        keep = 2 * w - np.bincount(o, w, n)[o] >= 0
+        return tops(o[keep], x[keep], w[keep], n)
+    if isinstance(selector, HeavyHitter):  # less the (k + 1)-th largest
+        order = np.lexsort((x, -w, o))
+        rank = np.arange(len(o)) - np.searchsorted(o[order], o[order])
+        cut = np.zeros(n)
+        cut[o[order][rank == selector.k]] = w[order][rank == selector.k]
+        w = w - cut[o]
+    return tops(o, x, w, n)
+
+
+def best_of_hubs(selector, chunks: int, label: np.ndarray, weight: np.ndarray, bounds: np.ndarray, owner: np.ndarray) -> np.ndarray:
+    """Best label of each list: its pairs are dealt into chunks by position, folded apart and merged."""
+    n = len(bounds) - 1
+    if isinstance(selector, Exact):
+        return tops(*sums_of(owner, label, weight), n)
+    size = np.diff(bounds)
+    each = np.maximum(chunks, -(-size // CHUNK_ROWS))
+    base = np.cumsum(each) - each
+    place = np.arange(len(owner)) - bounds[owner]
+    chunk = base[owner] + place % each[owner]
+    order = np.argsort(chunk, kind="stable")
+    ends = np.r_[0, np.cumsum(np.bincount(chunk, minlength=int(each.sum())))]
+    return merged_states(selector, states(selector, label[order], weight[order], ends, chunk[order]), np.repeat(np.arange(n), each), n)
+
+
 def parts(batch: pa.RecordBatch, labels: np.ndarray):
     """(at, chunk, labels of the neighbours, weights, bounds, owner) of runs of lists."""
-    for start in range(0, batch.num_rows, PART):
-        some = batch.slice(start, PART)
+    sizes = np.diff(batch.column("near").offsets.to_numpy())
+    step = max(1, min(PART, int(PAIRS / max(1.0, sizes.mean() if len(sizes) else 1.0))))
+    for start in range(0, batch.num_rows, step):
+        some = batch.slice(start, step)
         near = some.column("near")
-        bounds = near.offsets.to_numpy() - near.offsets[0].as_py()
+        bounds = (near.offsets.to_numpy() - near.offsets[0].as_py()).astype(np.int64)
         yield some.column("at").to_numpy(), some.column("chunk").to_numpy(), labels[near.flatten().to_numpy()], some.column("weights").flatten().to_numpy(), bounds, np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
 
 
@@ -152,11 +207,13 @@ def wishes(lists: Lists, selector, labels: np.ndarray, active: np.ndarray | None
 
     ids = spark.sparkContext.broadcast(lists.ids) if batches > 1 else None
 
-    def decide(rows):
+    chunks = lists.chunks
+
+    def decide(rows, hubs: bool):
         now, live = held.value
         for batch in rows:
-            for at, _, label, weight, bounds, owner in parts(mine(batch, live), now):
-                best = tops(*states(selector, label, weight, bounds, owner), len(at))
+            for at, _, label, weight, bounds, owner in parts(mine(batch, None if hubs else live), now):
+                best = best_of_hubs(selector, chunks, label, weight, bounds, owner) if hubs else tops(*states(selector, label, weight, bounds, owner), len(at))
                 differs = (best >= 0) & (best != now[at])
                 yield pa.RecordBatch.from_arrays([pa.array(at[differs].astype(np.int64)), pa.array(best[differs])], ["id", "candidate"])
 
@@ -165,18 +222,20 @@ def wishes(lists: Lists, selector, labels: np.ndarray, active: np.ndarray | None
         for batch in rows:
             for at, chunk, label, weight, bounds, owner in parts(mine(batch, None), now):
                 o, x, w = states(selector, label, weight, bounds, owner)
-                yield pa.RecordBatch.from_arrays([pa.array(at[o].astype(np.int64)), pa.array(chunk[o]), pa.array(x), pa.array(w)], ["dst", "chunk", "label", "weight"])
+                slot = np.arange(len(o), dtype=np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(at[o].astype(np.int64)), pa.array(chunk[o]), pa.array(slot), pa.array(x), pa.array(w)], ["dst", "chunk", "slot", "label", "weight"])
 
-    low = lists.low.mapInArrow(decide, "id long, candidate long")
-    state = lists.hubs.mapInArrow(partial, "dst long, chunk int, label long, weight double")
+    low = lists.low.mapInArrow(lambda rows: decide(rows, False), "id long, candidate long")
+    low = low.unionByName(lists.hubs.mapInArrow(lambda rows: decide(rows, True), "id long, candidate long"))
+    state = lists.great.mapInArrow(partial, "dst long, chunk int, slot int, label long, weight double")
     if isinstance(selector, HeavyHitter):
-        chunks = state.groupBy("dst", "chunk").agg(F.collect_list(F.struct("label", "weight")).alias("slots"))
-        high = merged(chunks, selector).select(F.col("dst").alias("id"), S.of_column(S.mg_top, "slots").alias("candidate")).filter("candidate is not null")
+        slots = F.transform(F.array_sort(F.collect_list(F.struct("slot", "label", "weight"))), lambda e: F.struct(e["label"].alias("label"), e["weight"].alias("weight")))
+        high = merged(state.groupBy("dst", "chunk").agg(slots.alias("slots")), selector).select(F.col("dst").alias("id"), S.of_column(S.mg_top, "slots").alias("candidate")).filter("candidate is not null")
     elif isinstance(selector, MajorityVote):
         high = selector.combined(state)
     else:
         high = heaviest(state.groupBy("dst", "label").agg(F.sum("weight").alias("weight")))
-    found = low.unionByName(high).toArrow()
+    found = (low.unionByName(high) if lists.great_any else low).toArrow()
     at, best = found.column("id").to_numpy(), found.column("candidate").to_numpy()
     differs = best != labels[at]
     held.unpersist()

@@ -122,7 +122,10 @@ def sketch_guarantee_violations(pairs: DataFrame, k: int = 8) -> DataFrame:
 
 
 def shuffle_model(pairs: DataFrame, k: int = 8) -> DataFrame:
-    """One row: rows that an exact aggregation, chunked sketches and chunked votes send to the owners of the vertices."""
+    """One row, a model: rows that an exact aggregation, chunked sketches and chunked votes of all vertices come to.
+
+    With broadcast labels only hubs' chunks are shuffled, so the engine moves less; ``shuffled_bytes`` measures that.
+    """
     exact = pairs.groupBy("dst", "label").agg(F.count("*").alias("n")).agg(F.count("*").alias("exact_rows"))
     per = pairs.groupBy("dst", "chunk").agg(F.countDistinct("label").alias("d")).agg(F.sum(F.least("d", F.lit(k))).alias("sketch_rows"), F.count("*").alias("vote_rows"))
     return exact.join(per)
@@ -132,3 +135,9 @@ def swap_count(older: DataFrame, newer: DataFrame, between: DataFrame) -> DataFr
     """One row: vertices that have the label of two iterations ago again, but not that of the last one."""
     j = older.select("id", F.col("label").alias("a")).join(between.select("id", F.col("label").alias("b")), "id").join(newer.select("id", F.col("label").alias("c")), "id")
     return j.agg(F.count_if((F.col("a") == F.col("c")) & (F.col("a") != F.col("b"))).alias("swaps"))
+
+
+def shuffled_bytes(spark) -> int:
+    """Bytes that all executors have written to shuffles so far; the difference around a run is what the run moved."""
+    executors = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    return sum(executors.apply(i).totalShuffleWrite() for i in range(executors.size()))

@@ -118,7 +118,7 @@ def folded(prepared: DataFrame, labels: DataFrame, config: LPConfig) -> LPResult
     """The loop with broadcast labels; they are at most ``BROADCAST_BYTES``."""
     spark = prepared.sparkSession
     ids = np.sort(labels.select("id").toArrow().column("id").to_numpy())
-    lists = local.neighbour_lists(prepared, ids)
+    lists = local.neighbour_lists(prepared, ids, config.hub_chunks)
     now, b = ids.copy(), config.schedule.batches
 
     def table() -> DataFrame:

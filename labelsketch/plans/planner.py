@@ -6,36 +6,32 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 
-from ..operators.propagate import LPConfig
+from ..operators.graph import CHUNK_ROWS
+from ..operators.propagate import LPConfig, delivery
 from ..operators.selectors import Exact, HeavyHitter, MajorityVote
 
-#: Bytes of labels up to which they may be broadcast; bytes of a shuffle partition aimed at.
-BROADCAST_BYTES, PARTITION_BYTES = 256 << 20, 200 << 20
-
 
 @dataclass(frozen=True)
 class Strategy:
-    labels: str  # broadcast or shuffle
-    engine: str  # expr, or arrow where hubs would make long arrays
-    partitions: int
-    state_rows: int  # rows that cross the shuffle in a full iteration, at most
+    labels: str  # broadcast to the neighbour lists, or joined by a shuffle; what label_propagation does
+    chunk_rows: int  # neighbours that a fold takes at once, at most
+    state_rows: int  # rows of sums, slots or votes that cross the shuffle in a full iteration, at most
 
 
 def choose(config: LPConfig, stats: DataFrame) -> Strategy:
     """stats: one row of graph_stats."""
     s = stats.first()
-    n, m = int(s["n"]), int(s["m_edges"])
-    if isinstance(config.selector, Exact):
-        rows = m
-    elif isinstance(config.selector, MajorityVote):
-        rows = n * min(config.hub_chunks, max(1, int(s["max_degree"])))
-    else:
-        rows = min(m, n * config.selector.k * config.hub_chunks)
-    hub_part = int(s["max_degree"]) / (config.hub_chunks if int(s["max_degree"]) >= config.hub_degree else 1)
-    return Strategy("broadcast" if n * 16 <= BROADCAST_BYTES else "shuffle", "arrow" if hub_part > 4096 else "expr", max(1, -(-m * 40 // PARTITION_BYTES)), rows)
+    n, m, top = int(s["n"]), int(s["m_edges"]), int(s["max_degree"])
+    labels = delivery(config, n)
+    per_chunk = m if isinstance(config.selector, Exact) else 1 if isinstance(config.selector, MajorityVote) else config.selector.k
+    hubs = min(n, m // config.hub_degree) if top >= config.hub_degree else 0
+    chunks = hubs * config.hub_chunks + m // CHUNK_ROWS if hubs else 0
+    if labels == "shuffle":
+        chunks += n
+    return Strategy(labels, min(top, max(config.hub_degree, CHUNK_ROWS)), min(m, chunks * per_chunk))
 
 
 def explain(config: LPConfig, stats: DataFrame) -> str:
     found = choose(config, stats)
     kind = {Exact: "exact", HeavyHitter: "heavy hitters", MajorityVote: "majority vote"}[type(config.selector)]
-    return f"{kind}: labels by {found.labels}, {found.engine} fold, {found.partitions} partitions, at most {found.state_rows} state rows shuffled an iteration"
+    return f"{kind}: labels by {found.labels}, folds of at most {found.chunk_rows} neighbours, at most {found.state_rows} state rows shuffled an iteration"
