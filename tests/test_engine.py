@@ -9,7 +9,7 @@ import subprocess
 import sys
 
 import pytest
-from labelsketch.operators import baselines, communities, graph, metrics
+from labelsketch.operators import baselines, communities, graph, local, metrics
 from labelsketch.operators.builders import BUILDERS, toy
 from labelsketch.operators.local import mix
 from labelsketch.operators.propagate import LPConfig, PickLess, Stop, label_propagation, sweep_slots, tune
@@ -187,3 +187,27 @@ def test_rest_works_without_the_training_data_operators(tmp_path):
     code = "import __spark_entry__ as e; q = e.queries(); assert 'mg_lp_1' in q and 'pipeline' not in q and not any(x.startswith('op') and x[2].isdigit() for x in q); e.oracle_sql()"
     assert subprocess.run([sys.executable, "-c", code], cwd=copy, env=os.environ | {"PYTHONPATH": ""}, capture_output=True, timeout=120).returncode == 0
     assert "mg_lp_1" in importlib.import_module("__spark_entry__").queries()
+
+
+@pytest.mark.parametrize("selector", [Exact(), HeavyHitter(), HeavyHitter(k=2, merge="subtract"), MajorityVote(), MajorityVote(combine="merge")])
+def test_deliveries_and_hub_paths_agree(spark, sf, selector, monkeypatch):
+    edges = BUILDERS["trade"](spark, sf)
+    run = lambda how: labels(label_propagation(edges, LPConfig(selector, stop=Stop(0.0, 3), hub_degree=32, hub_chunks=4, delivery=how)))
+    near, far = run("broadcast"), run("shuffle")
+    monkeypatch.setattr(local, "LOCAL_ROWS", 40)  # hubs beyond it meet in a shuffle
+    assert near == far == run("broadcast")
+
+
+def test_slot_picks_agree(spark, sf):
+    edges = BUILDERS["trade"](spark, sf)
+    first, last = (labels(label_propagation(edges, LPConfig(HeavyHitter(k=4, merge="subtract", slot_pick=p), stop=Stop(0.0, 2), delivery="shuffle"))) for p in ("first", "last"))
+    assert first == last
+
+
+def test_sql_sketch(spark):
+    from labelsketch.functions import sketch
+
+    sketch.register(spark)
+    pairs = "array(" + ", ".join(f"named_struct('label', {x}L, 'weight', {w}D)" for x, w in ((1, 1), (2, 1), (1, 1), (3, 1), (3, 1))) + ")"
+    assert spark.sql(f"SELECT array_sort(mg_sketch({pairs}, 2)) AS s").first().s == [(1, 1.0), (3, 1.0)]
+    assert spark.sql(f"SELECT mg_merge_sketches(array({pairs}, {pairs}), 8) AS s").first().s[0].label in (1, 2, 3)
