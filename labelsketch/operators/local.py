@@ -26,6 +26,8 @@ from .selectors import Exact, HeavyHitter, MajorityVote, heaviest, merged
 PART, PAIRS = 4096, 1 << 20
 #: Neighbours up to which a hub's chunks are merged in the task that has its list.
 LOCAL_ROWS = 65536
+#: Lists below which a step of numpy over all of them costs more than plain Python.
+FEW = 64
 
 
 def supported(selector) -> bool:
@@ -45,14 +47,15 @@ def mix_sql(column: str, batches: int) -> str:
 @dataclass
 class Lists:
     ids: np.ndarray
-    low: DataFrame
-    hubs: DataFrame
-    great: DataFrame
+    rows: DataFrame
     chunks: int
-    great_any: bool = True
+
+    def __post_init__(self) -> None:
+        self.low, self.hubs, self.great = (self.rows.filter(F.col("kind") == k).drop("kind") for k in ("low", "hub", "great"))
+        self.great_any = not self.great.isEmpty()
 
     def drop(self) -> None:
-        drop(self.low, self.hubs, self.great)
+        drop(self.rows)
 
 
 def neighbour_lists(prepared: DataFrame, ids: np.ndarray, chunks: int) -> Lists:
@@ -60,7 +63,8 @@ def neighbour_lists(prepared: DataFrame, ids: np.ndarray, chunks: int) -> Lists:
     held = prepared.sparkSession.sparkContext.broadcast(ids)
     part = F.when(F.col("degree") <= LOCAL_ROWS, F.lit(-1)).otherwise(F.col("chunk")).alias("part")
     rows = prepared.groupBy("dst", part, "hub").agg(F.array_sort(F.collect_list(F.struct("ord", "src", "weight"))).alias("p"))
-    rows = rows.select("dst", F.col("part").alias("chunk"), "hub", F.col("p.src").alias("near"), F.col("p.weight").alias("weights"))
+    kind = F.when(F.col("part") >= 0, "great").when(F.col("hub"), "hub").otherwise("low").alias("kind")
+    rows = rows.select("dst", F.col("part").alias("chunk"), kind, F.col("p.src").alias("near"), F.col("p.weight").alias("weights"))
 
     def index(batches):
         for batch in batches:
@@ -68,14 +72,9 @@ def neighbour_lists(prepared: DataFrame, ids: np.ndarray, chunks: int) -> Lists:
             place = pa.array(np.searchsorted(held.value, near.flatten().to_numpy()).astype(np.int32))
             offsets = pa.array(near.offsets.to_numpy() - near.offsets[0].as_py(), pa.int32())
             at = pa.array(np.searchsorted(held.value, batch.column("dst").to_numpy()).astype(np.int32))
-            yield pa.RecordBatch.from_arrays([at, batch.column("chunk"), batch.column("hub"), pa.ListArray.from_arrays(offsets, place), batch.column("weights")], ["at", "chunk", "hub", "near", "weights"])
+            yield pa.RecordBatch.from_arrays([at, batch.column("chunk"), batch.column("kind"), pa.ListArray.from_arrays(offsets, place), batch.column("weights")], ["at", "chunk", "kind", "near", "weights"])
 
-    rows = written(rows.mapInArrow(index, "at int, chunk int, hub boolean, near array<int>, weights array<double>"), "lists")
-    kinds = ("not hub and chunk < 0", "hub and chunk < 0", "chunk >= 0")
-    found = Lists(ids, *(written(rows.filter(k).drop("hub"), "lists") for k in kinds), chunks)
-    found.great_any = not found.great.isEmpty()
-    drop(rows)
-    return found
+    return Lists(ids, written(rows.mapInArrow(index, "at int, chunk int, kind string, near array<int>, weights array<double>"), "lists", "kind"), chunks)
 
 
 def sums_of(owner: np.ndarray, labels: np.ndarray, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -96,43 +95,86 @@ def tops(owner: np.ndarray, labels: np.ndarray, weights: np.ndarray, n: int) ->
     return best
 
 
-def slots_of(selector: HeavyHitter, label: np.ndarray, weight: np.ndarray, bounds: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(owner, label, weight) of the slots in the order of their filling: sums where the labels fit, else the fold."""
-    order = np.lexsort((label, owner))
-    first = np.nonzero(np.r_[True, (owner[order][1:] != owner[order][:-1]) | (label[order][1:] != label[order][:-1])])[0] if len(owner) else np.zeros(0, np.int64)
-    place = order[first]  # lexsort is stable: where each label comes first
-    total = np.add.reduceat(weight[order], first) if len(first) else weight
-    many = np.bincount(owner[place], minlength=len(bounds) - 1) > selector.k
-    if len(weight) and weight.min() <= 0:
-        many |= True
-    keep = ~many[owner[place]]
-    place, total = place[keep], total[keep]
-    folded: list[tuple[int, int, float]] = []
-    for r in np.nonzero(many)[0].tolist():
+def slots_of(selector: HeavyHitter, label: np.ndarray, weight: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(owner, label, weight) of the slots of every list, in the order of their filling."""
+    if selector.overflow == "residual" and (not len(weight) or weight.min() > 0):
+        return folded(label, weight, bounds, selector.k)
+    found = []
+    for r in range(len(bounds) - 1):
         sketch = S.Sketch(selector.k, selector.overflow)
         sketch.fold(label[bounds[r] : bounds[r + 1]].tolist(), weight[bounds[r] : bounds[r + 1]].tolist())
-        folded += [(r, a, b) for a, b in sketch.slots.items()]
-    fo, fx, fw = (np.array([t[i] for t in folded], kind) for i, kind in enumerate((np.int64, np.int64, np.float64)))
-    o, x, w = np.r_[owner[place], fo], np.r_[label[place], fx], np.r_[total, fw]
-    order = np.lexsort((np.r_[place, np.arange(len(fo))], o))
-    return o[order], x[order], w[order]
+        found += [(r, a, b) for a, b in sketch.slots.items()]
+    return tuple(np.array([t[i] for t in found], kind) for i, kind in enumerate((np.int64, np.int64, np.float64)))
+
+
+def folded(label: np.ndarray, weight: np.ndarray, bounds: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The fold by the default rule of positive weights, of all lists side by side: the first pair of each, the second, and so on.
+
+    Lists go from the longest to the shortest, so those not yet at their end are a prefix. Once fewer than ``FEW`` are left,
+    plain Python takes over from their slots.
+    """
+    size = np.diff(bounds)
+    order = np.argsort(-size, kind="stable")
+    size, start = size[order], bounds[:-1][order]
+    left = np.searchsorted(-size, -np.arange(size[0] if len(size) else 0), side="left")  # lists longer than p
+    labels, weights, since = np.zeros((k, len(size)), np.int64), np.zeros((k, len(size))), np.zeros((k, len(size)), np.int32)
+    tail = int(np.searchsorted(-left, -FEW, side="right"))  # lists are fewer from here on
+    for p in range(tail):
+        n = left[p]
+        x, w, held = label[start[:n] + p], weight[start[:n] + p], weights[:, :n]
+        same = (labels[:, :n] == x) & (held > 0)
+        held += same * w
+        w[same.any(0)] = 0
+        by = np.minimum(w, held.min(0))  # 0 where a slot is free
+        held -= by
+        w -= by
+        row = np.nonzero(w > 0)[0]  # there the least slot is free
+        at = held[:, row].argmin(0)
+        labels[at, row], weights[at, row], since[at, row] = x[row], w[row], p
+    at, row = np.nonzero(weights > 0)
+    by_filling = np.lexsort((since[at, row], row))
+    row, at = row[by_filling], at[by_filling]
+    o, x, w = row, labels[at, row], weights[at, row]
+    if tail < len(left):
+        rest, more = int(left[tail]), []
+        ends = np.searchsorted(o, np.arange(rest + 1))
+        for r in range(rest):
+            sketch = S.Sketch(k, "residual", zip(x[ends[r] : ends[r + 1]].tolist(), w[ends[r] : ends[r + 1]].tolist(), strict=True))
+            span = slice(start[r] + tail, start[r] + size[r])
+            sketch.fold(label[span].tolist(), weight[span].tolist())
+            more += [(r, a, b) for a, b in sketch.slots.items()]
+        mo, mx, mw = (np.array([t[i] for t in more], kind) for i, kind in enumerate((np.int64, np.int64, np.float64)))
+        o, x, w = np.r_[mo, o[ends[rest] :]], np.r_[mx, x[ends[rest] :]], np.r_[mw, w[ends[rest] :]]
+    owner = order[o]
+    by_owner = np.argsort(owner, kind="stable")
+    return owner[by_owner], x[by_owner], w[by_owner]
 
 
 def votes_of(selector: MajorityVote, label: np.ndarray, weight: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    out, labels, weights, replace = [], label.tolist(), weight.tolist(), selector.rule == "replace"
-    edges = bounds.tolist()
-    for r in range(len(edges) - 1):
-        at, held = None, 0.0
-        for x, w in zip(labels[edges[r] : edges[r + 1]], weights[edges[r] : edges[r + 1]], strict=True):
-            if x == at and held > 0:
-                held += w
-            elif held > w:
-                held -= w
-            else:
-                at, held = x, w if replace else w - held
-        if held > 0:
-            out.append((r, at, held))
-    return tuple(np.array([t[i] for t in out], kind) for i, kind in enumerate((np.int64, np.int64, np.float64)))
+    """(owner, label, weight) of the candidate of every list; lists side by side, as in ``folded``."""
+    size, replace = np.diff(bounds), selector.rule == "replace"
+    order = np.argsort(-size, kind="stable")
+    size, start = size[order], bounds[:-1][order]
+    left = np.searchsorted(-size, -np.arange(size[0] if len(size) else 0), side="left")
+    at, held = np.zeros(len(size), np.int64), np.zeros(len(size))
+    tail = int(np.searchsorted(-left, -FEW, side="right"))
+    for p in range(tail):
+        n = left[p]
+        x, w = label[start[:n] + p], weight[start[:n] + p]
+        now = held[:n]
+        same, less = (at[:n] == x) & (now > 0), now > w
+        takes = ~same & ~less
+        held[:n] = np.where(same, now + w, np.where(less, now - w, w if replace else w - now))
+        at[:n][takes] = x[takes]
+    for r in range(int(left[tail]) if tail < len(left) else 0):
+        vote = S.Vote(selector.rule)
+        vote.label, vote.weight = int(at[r]), float(held[r])
+        for x, w in zip(label[start[r] + tail : start[r] + size[r]].tolist(), weight[start[r] + tail : start[r] + size[r]].tolist(), strict=True):
+            vote.add(x, w)
+        at[r], held[r] = vote.label, vote.weight
+    owner = np.argsort(order, kind="stable")
+    some = held[owner] > 0
+    return np.nonzero(some)[0], at[owner][some], held[owner][some]
 
 
 def states(selector, label: np.ndarray, weight: np.ndarray, bounds: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -140,7 +182,7 @@ def states(selector, label: np.ndarray, weight: np.ndarray, bounds: np.ndarray,
     if isinstance(selector, Exact):
         return sums_of(owner, label, weight)
     if isinstance(selector, HeavyHitter):
-        return slots_of(selector, label, weight, bounds, owner)
+        return slots_of(selector, label, weight, bounds)
     return votes_of(selector, label, weight, bounds)
 
 
@@ -148,7 +190,7 @@ def merged_states(selector, state: tuple, owner_of: np.ndarray, n: int) -> np.nd
     """Best label of each of n hubs from the states of its chunks, which come in the order of chunks; -1 for none."""
     o, x, w = owner_of[state[0]], state[1], state[2]
     if isinstance(selector, HeavyHitter) and selector.merge == "replay":
-        return tops(*slots_of(selector, x, w, np.searchsorted(o, np.arange(n + 1)), o), n)
+        return tops(*slots_of(selector, x, w, np.searchsorted(o, np.arange(n + 1))), n)
     if isinstance(selector, MajorityVote) and selector.combine == "max":
         return tops(o, x, w, n)
     o, x, w = sums_of(o, x, w)

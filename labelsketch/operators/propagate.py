@@ -103,19 +103,22 @@ def delivery(config: LPConfig, n: int) -> str:
 
 def label_propagation(edges: DataFrame, config: LPConfig = LPConfig(), prepared: DataFrame | None = None) -> LPResult:
     """Labels of all vertices, and per iteration whether pick-less applied, active and changed vertices, seconds."""
-    own = prepared is None
-    if own:
-        prepared = written(scan_positions(edges, config.hub_degree, config.hub_chunks), "prepared")
     labels = written(initial_labels(edges), "labels")
     n = labels.count()
-    found = folded(prepared, labels, config) if delivery(config, n) == "broadcast" else shuffled(prepared, labels, n, config)
-    if own:
-        drop(prepared)
+    if delivery(config, n) == "broadcast":
+        found = folded(scan_positions(edges, config.hub_degree, config.hub_chunks) if prepared is None else prepared, labels, config)
+        drop(labels)
+        return found
+    if prepared is not None:
+        return shuffled(prepared, labels, n, config)
+    own = written(scan_positions(edges, config.hub_degree, config.hub_chunks), "prepared")
+    found = shuffled(own, labels, n, config)
+    drop(own)
     return found
 
 
 def folded(prepared: DataFrame, labels: DataFrame, config: LPConfig) -> LPResult:
-    """The loop with broadcast labels; they are at most ``BROADCAST_BYTES``."""
+    """The loop with broadcast labels; they are at most ``BROADCAST_BYTES``. ``prepared`` is read once."""
     spark = prepared.sparkSession
     ids = np.sort(labels.select("id").toArrow().column("id").to_numpy())
     lists = local.neighbour_lists(prepared, ids, config.hub_chunks)

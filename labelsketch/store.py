@@ -22,10 +22,10 @@ def shared_dir(spark: SparkSession) -> str:
     return base
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """The rows, written and read again; a lost executor costs nothing that came before."""
+def written(df: DataFrame, name: str, *by: str) -> DataFrame:
+    """The rows, written (in a folder for each value of ``by``) and read again; a lost executor costs nothing that came before."""
     path = f"{shared_dir(df.sparkSession).rstrip('/')}/tables/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.partitionBy(*by).parquet(path)
     back = df.sparkSession.read.schema(df.schema).parquet(path)
     back._written = path
     return back

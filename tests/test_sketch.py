@@ -3,8 +3,11 @@
 import itertools
 import random
 
+import numpy as np
 import pytest
 from labelsketch.functions import sketch as S
+from labelsketch.operators import local
+from labelsketch.operators.selectors import HeavyHitter, MajorityVote
 from pyspark.sql import functions as F
 
 A, B, C, D = 1, 2, 3, 4
@@ -76,6 +79,27 @@ def test_engines_agree_and_bounds_hold(spark):
             assert got == truth
 
 
+@pytest.mark.parametrize("few", [1, 6, 64])
+def test_folds_side_by_side_equal_one_after_another(few, monkeypatch):
+    monkeypatch.setattr(local, "FEW", few)
+    rng = np.random.default_rng(7)
+    for kinds, longest, heaviest in itertools.product((2, 6, 30), (3, 50), (2, 9)):
+        bounds = np.r_[0, np.cumsum(rng.integers(0, longest, 90))]
+        labels, weights = rng.integers(-2, kinds, bounds[-1]), rng.integers(1, heaviest, bounds[-1]).astype(float)
+        streams = [list(zip(labels[a:b].tolist(), weights[a:b].tolist(), strict=True)) for a, b in itertools.pairwise(bounds)]
+        for k, rule in itertools.product((1, 2, 8), S.OVERFLOW):
+            got = local.slots_of(HeavyHitter(k=k, overflow=rule), labels, weights, bounds)
+            assert list(zip(*map(np.ndarray.tolist, got), strict=True)) == [(r, x, w) for r, s in enumerate(streams) for x, w in python_sketch(s, k, rule).items()]
+        for rule in ("replace", "residual"):
+            want = []
+            for r, s in enumerate(streams):
+                v = S.Vote(rule)
+                for x, w in s:
+                    v.add(x, w)
+                want += [(r, v.label, v.weight)] if v.weight > 0 else []
+            assert list(zip(*map(np.ndarray.tolist, local.votes_of(MajorityVote(rule=rule), labels, weights, bounds)), strict=True)) == want
+
+
 def test_unit_votes_keep_a_majority():
     for n in range(1, 8):
         for stream in itertools.product((A, B, C), repeat=n):
