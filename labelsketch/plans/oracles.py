@@ -5,7 +5,7 @@ from __future__ import annotations
 from ..operators.builders import BUILDERS, LINE_DOCS, TOYS
 from ..operators.graph import CHUNK_ROWS, HUB_CHUNKS, HUB_DEGREE
 from ..operators.local import mix_sql
-from ..operators.propagate import LPConfig
+from ..operators.propagate import LPConfig, PickLess
 from ..operators.selectors import Exact, HeavyHitter, MajorityVote
 from .queries import LP_RUNS, SPREAD
 
@@ -219,6 +219,7 @@ def oracle_sql() -> dict[str, str]:
     found["mg_slot_sweep"] = " UNION ALL ".join(rows)
     found["mg_frequent_items"] = "SELECT user_id AS item, count(*) AS n FROM events GROUP BY 1 HAVING count(*) * 51 > (SELECT count(*) FROM events)"
     found |= {f"{name}_lp_converged": stopped("weblink", LPConfig(selector)) for name, selector in (("exact", Exact()), ("mg", HeavyHitter()), ("vote", MajorityVote()))}
+    found["baseline_c_converged"] = stopped("weblink", LPConfig(Exact(), PickLess(4)))
     found["louvain_one_pass"] = louvain_one_pass()
     found["majority_item"] = "SELECT CASE WHEN l_linestatus = 'F' THEN 1 ELSE 0 END AS item, count(*) AS n FROM lineitem GROUP BY 1 HAVING count(*) * 2 > (SELECT count(*) FROM lineitem)"
     found["method_recommendation"] = " UNION ALL ".join(f"SELECT * FROM (WITH {edges(g)}, s AS ({STATS}) SELECT '{g}' AS graph, d_avg, CASE WHEN d_avg < 3 THEN 'exact' ELSE 'mg8' END AS method FROM s)" for g in ("weblink", "copurchase", "order_path", "turn_path"))

@@ -250,6 +250,11 @@ def converged(selector, spark, sf_dir):
     return label_propagation(edges_of(spark, sf_dir, "weblink"), LPConfig(selector)).labels
 
 
+def baseline_converged(baseline, spark, sf_dir):
+    """A baseline with its own tolerance and limit on the web graph."""
+    return baseline(edges_of(spark, sf_dir, "weblink")).labels
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found: dict[str, Callable] = {f"graph_{name}_edges": build for name, build in BUILDERS.items()}
     found |= {run: partial(run_lp, *spec) for run, spec in LP_RUNS.items()}
@@ -276,6 +281,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "mg_lp_converged": partial(converged, HeavyHitter()),
         "exact_lp_converged": partial(converged, Exact()),
         "vote_lp_converged": partial(converged, MajorityVote()),
+        "baseline_a_converged": partial(baseline_converged, baselines.baseline_parallel_lp),
+        "baseline_b_converged": partial(baseline_converged, baselines.baseline_thread_map_lp),
+        "baseline_c_converged": partial(baseline_converged, baselines.baseline_vertex_map_lp),
     }
     plain = (vote_state, community_sizes, top_communities, boundary_edges, contract_graph, delta_modularity, community_profile_nation, nmi_lang, working_set_memory, selection_agreement, sketch_guarantee, shuffle_model, neighbor_label_weights, vertex_map_layout, pickless_step, label_delta, swap_count, mg_slot_sweep, mg_frequent_items, majority_item, heavy_hitters_udtf, method_recommendation, louvain_one_pass, louvain_levels, labelrank, copra, slpa, toy_two_triangles)
     return found | {f.__name__: f for f in plain}

@@ -145,6 +145,12 @@ def test_baselines_and_related_methods(spark):
     assert math.isclose(metrics.nmi(label_propagation(edges, LPConfig(Exact())).labels, truth).first().nmi, 1.0)
 
 
+@pytest.mark.parametrize(("name", "tolerance"), [("baseline_a_converged", 1e-5), ("baseline_b_converged", 0.05)])
+def test_converged_baselines(spark, sf, name, tolerance):
+    found = {r.id: r.label for r in plans.queries()[name](spark, sf).collect()}
+    assert found == brute_force(BUILDERS["weblink"](spark, sf), 8, None, 20, tolerance)
+
+
 def test_sweep_tune_and_plan(spark):
     edges = toy(spark, "clique_ring")
     assert [r["k"] for r in sweep_slots(edges, [2, 8])] == [2, 8]
