@@ -51,7 +51,7 @@ def test_sort_distinct(bits):
 
 
 def test_little_is_shuffled_and_kept(spark, sf):
-    """The strings of the windows took 100 bytes a character of the texts in shuffles."""
+    """The strings of the windows took 90 bytes a character of the texts in shuffles, at sf0.001."""
 
     def written() -> int:
         stages = spark.sparkContext._jsc.sc().statusStore().executorList(False)
